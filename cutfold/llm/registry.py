@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from cutfold.llm import exact_dedup, line_dedup
+from cutfold.llm import exact_dedup, line_dedup, mixing, simhash_dedup
 
 QUERIES = {
+    "op1_mix_sources": mixing.op1_mix_sources,
     "op5_line_dedup": line_dedup.op5_line_dedup,
     "op6_exact_dedup": exact_dedup.op6_exact_dedup,
+    "op8_simhash_dedup": simhash_dedup.op8_simhash_dedup,
 }
 SQL = {
     "op5_line_dedup": line_dedup.SQL,
