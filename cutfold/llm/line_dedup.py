@@ -17,20 +17,18 @@ as one document; NULL ids rank below all others.
 from __future__ import annotations
 
 import hashlib
-import zlib
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cutfold.functions.storage import saved
 from cutfold.llm._common import FIRST, SPACE_CHARS, map_arrow, with_key
+from cutfold.llm.bloom import BITS, held, twice_filter
 
 MIN_CHARS, MIN_DOCS = 20, 3
-BITS, PROBES, SEGMENT_BYTES = 2**26, 3, 2**16
 
 
 def line_key(line: str) -> bytes | None:
@@ -43,81 +41,8 @@ def _keys(text: str) -> set[bytes]:
     return {k for k in map(line_key, text.split("\n")) if k is not None}
 
 
-def _positions(hashes: np.ndarray, bits: int) -> np.ndarray:
-    """``PROBES`` positions per hash by double hashing; ``bits`` is a power of 2."""
-    step = (hashes >> np.uint64(32)) | np.uint64(1)
-    with np.errstate(over="ignore"):
-        return np.stack([(hashes + np.uint64(i) * step) & np.uint64(bits - 1) for i in range(PROBES)]).astype(np.int64)
-
-
-def _local_filters(bits: int):
-    def run(batches):
-        once, twice = np.zeros(bits, bool), np.zeros(bits, bool)
-        for batch in batches:
-            found: list[int] = []
-            for t in batch.column(0).to_pylist():
-                found += [xxhash.xxh64_intdigest(k) for k in _keys(t)]
-            h, n = np.unique(np.array(found, np.uint64), return_counts=True)
-            at = _positions(h, bits)
-            again = once[at].all(axis=0) | (n > 1)
-            twice[at[:, again]] = True
-            once[at] = True
-        salt = TaskContext.get().partitionId() % 1024
-        one, two = (np.packbits(x).reshape(-1, SEGMENT_BYTES) for x in (once, twice))
-        used = np.flatnonzero(one.any(axis=1))
-        for lo in range(0, len(used), 64):
-            part = used[lo : lo + 64]
-            yield pa.RecordBatch.from_pydict(
-                {
-                    "segment": pa.array(part, pa.int32()),
-                    "salt": pa.array([salt] * len(part), pa.int32()),
-                    "once": pa.array([zlib.compress(one[i].tobytes(), 1) for i in part], pa.binary()),
-                    "twice": pa.array([zlib.compress(two[i].tobytes(), 1) for i in part], pa.binary()),
-                }
-            )
-
-    return run
-
-
-def _merge_sorted(batches):
-    """Merge neighbouring rows of equal (segment, salt); input sorted by both."""
-    key, one, two = None, None, None
-
-    def out():
-        return pa.RecordBatch.from_pydict(
-            {
-                "segment": pa.array([key[0]], pa.int32()),
-                "salt": pa.array([key[1]], pa.int32()),
-                "once": pa.array([zlib.compress(one.tobytes(), 1)], pa.binary()),
-                "twice": pa.array([zlib.compress(two.tobytes(), 1)], pa.binary()),
-            }
-        )
-
-    for batch in batches:
-        for segment, salt, a, b in zip(*(c.to_pylist() for c in batch.columns)):
-            a, b = (np.frombuffer(zlib.decompress(x), np.uint8) for x in (a, b))
-            if (segment, salt) == key:
-                two |= b | (one & a)
-                one |= a
-            else:
-                if key is not None:
-                    yield out()
-                key, one, two = (segment, salt), a.copy(), b.copy()
-    if key is not None:
-        yield out()
-
-
-def repeat_filter(texts: DataFrame, bits: int = BITS) -> np.ndarray:
-    """Packed bits of the merged seen-twice filter of all line keys."""
-    schema = "segment int, salt int, once binary, twice binary"
-    parts = texts.mapInArrow(_local_filters(bits), schema)
-    for by in (["segment", "salt"], ["segment"]):
-        parts = parts if len(by) == 2 else parts.withColumn("salt", F.lit(0))
-        parts = parts.repartition(*by).sortWithinPartitions("segment", "salt").mapInArrow(_merge_sorted, schema)
-    merged = np.zeros((bits // 8 // SEGMENT_BYTES, SEGMENT_BYTES), np.uint8)
-    for row in parts.select("segment", "twice").toLocalIterator():
-        merged[row.segment] = np.frombuffer(zlib.decompress(bytes(row.twice)), np.uint8)
-    return merged.reshape(-1)
+def _hashes(batch) -> np.ndarray:
+    return np.array([xxhash.xxh64_intdigest(k) for t in batch.column(0).to_pylist() for k in _keys(t)], np.uint64)
 
 
 def _suspects(shared, bits: int):
@@ -128,8 +53,7 @@ def _suspects(shared, bits: int):
             own = list(_keys(text))
             if not own:
                 continue
-            at = _positions(np.array([xxhash.xxh64_intdigest(k) for k in own], np.uint64), bits)
-            hit = ((packed[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1).all(axis=0)
+            hit = held(packed, np.array([xxhash.xxh64_intdigest(k) for k in own], np.uint64), bits)
             for j in np.flatnonzero(hit):
                 rows.append(i)
                 keys.append(hashlib.sha256(own[j]).digest())
@@ -163,7 +87,7 @@ def dedup_lines(docs: DataFrame, min_docs: int = MIN_DOCS, bits: int = BITS, emi
     (or with ``emit_text=False`` its ``kept_sha256``)."""
     spark = docs.sparkSession
     keyed = with_key(docs, FIRST)
-    shared = spark.sparkContext.broadcast(repeat_filter(keyed.select("text"), bits))
+    shared = spark.sparkContext.broadcast(twice_filter(keyed.select("text"), _hashes, bits))
     seen = saved(map_arrow(keyed.select("_d", "_t", "text"), _suspects(shared, bits), "_d long, _t long, key binary"), "line-suspects")
     keys = seen.groupBy("key", "_d").agg(F.lit(1)).groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("_d").alias("keep"))
     drops = seen.join(keys.where(F.col("n") >= min_docs), "key").where("_d < keep").groupBy("_d", "_t").agg(F.collect_set("key").alias("drops"))

@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from cutfold.llm import exact_dedup, line_dedup, mixing, simhash_dedup
+from cutfold.llm import exact_dedup, line_dedup, mixing, simhash_dedup, substring_dedup
 
 QUERIES = {
     "op1_mix_sources": mixing.op1_mix_sources,
+    "op3_substring_dedup": substring_dedup.op3_substring_dedup,
     "op5_line_dedup": line_dedup.op5_line_dedup,
     "op6_exact_dedup": exact_dedup.op6_exact_dedup,
     "op8_simhash_dedup": simhash_dedup.op8_simhash_dedup,
 }
 SQL = {
+    "op3_substring_dedup": substring_dedup.SQL,
     "op5_line_dedup": line_dedup.SQL,
     "op6_exact_dedup": exact_dedup.SQL,
 }
