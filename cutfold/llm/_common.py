@@ -13,6 +13,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 LAST = 2**63 - 1
 FIRST = -(2**63)
@@ -42,7 +43,7 @@ def held_out() -> Column:
     return F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 4 == 2, F.lit(False))
 
 
-def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | Iterator[pa.RecordBatch]], schema: str | StructType) -> DataFrame:
     """``fn`` maps one record batch to one or several; empty input is fine."""
 
     def run(batches):
@@ -56,6 +57,11 @@ def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | Ite
     return df.mapInArrow(run, schema)
 
 
+def schema_with(src: DataFrame, skip: int, more: str) -> StructType:
+    """The schema of ``src`` without its first ``skip`` fields, and ``more`` (DDL)."""
+    return StructType(src.schema.fields[skip:] + StructType.fromDDL(more).fields)
+
+
 def slices(texts: list[str], limit: int = 2_000_000) -> Iterator[tuple[int, int]]:
     """Index ranges of consecutive texts that hold about ``limit`` characters, so
     that per-character arrays stay small; a longer text gets a range of its own."""

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutfold.llm._common import map_arrow, slices
+from cutfold.llm._common import map_arrow, schema_with, slices
 
 MODEL = os.environ.get("CUTFOLD_PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
 MARK = "▁"
@@ -292,9 +292,8 @@ def encode_documents(docs: DataFrame, path: str = MODEL, scores: str = "zipf", e
     digests of the ids and of the decoded text, and whether it is the text."""
     shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path, scores))
     src = docs.select(F.col("text").alias("_text"), *keep)
-    kept = ", ".join(f"`{n}` {t}" for n, t in src.drop("_text").dtypes)
     more = "n_pieces long, ids array<int>" if emit_ids else "n_pieces long, n_byte_pieces long, ids_sha256 string, decoded_sha256 string, round_trip boolean"
-    return src.mapInArrow(_run(shared, emit_ids), f"{kept}, {more}")
+    return src.mapInArrow(_run(shared, emit_ids), schema_with(src, 1, more))
 
 
 def _decode_batch(shared):
@@ -310,8 +309,7 @@ def decode_documents(encoded: DataFrame, path: str = MODEL, keep: tuple = ("doc_
     """``keep`` columns and the ``text`` that ``ids`` stand for (NULL ids: NULL)."""
     shared = encoded.sparkSession.sparkContext.broadcast(Vocabulary(path))
     src = encoded.select(F.col("ids").alias("_ids"), *keep)
-    kept = ", ".join(f"`{n}` {t}" for n, t in src.drop("_ids").dtypes)
-    return map_arrow(src, _decode_batch(shared), f"{kept}, text string")
+    return map_arrow(src, _decode_batch(shared), schema_with(src, 1, "text string"))
 
 
 def op2_sentence_pieces(spark, sf_dir):
