@@ -116,7 +116,7 @@ def superstep(arcs: DataFrame, labels: DataFrame, movers: DataFrame | None, cap:
         order = Window.partitionBy("source").orderBy("loss", F.col("tie").desc(), "id").rowsBetween(Window.unboundedPreceding, -1)
         forced = wants.join(heavy, "source").withColumn("gone", F.coalesce(F.sum("c").over(order), F.lit(0)))
         keep = forced.where((F.col("gone") < F.col("shed")) | (F.col("loss") < 0)).select(*wants.columns)
-        wants = wants.join(heavy, "source", "left_anti").union(keep)
+        wants = wants.join(heavy, "source", "left_anti").unionByName(keep)
     return admit(wants, sizes, cap, mode)
 
 
