@@ -109,11 +109,11 @@ def fingerprint_edits(docs: DataFrame, k: int = K, words: int = WORDS) -> DataFr
     need = F.floor(F.length("text") / 3).cast("int")
     ids = rows.select("_d", need.alias("need"), F.xxhash64("text").alias("t")).groupBy("_d").agg(F.max("need").alias("need"), F.min("t").alias("t"))
     links = saved(neighbours(ids), "sketch-links")
-    linked = rows.join(links, "_d")
-    lent = linked.where(F.xxhash64("text") == F.col("t")).select(F.col("taker").alias("_d"), F.expr("substring(text, 1, taker_need)").alias("start"), shingle_words(F.col("text")).alias("_w"))
+    # As an equality this would become a join key, and the texts would be dealt twice.
+    lent = rows.join(links, "_d").where(F.xxhash64("text").bitwiseXOR(F.col("t")) == 0).select(F.col("taker").alias("_d"), F.expr("substring(text, 1, taker_need)").alias("start"), shingle_words(F.col("text")).alias("_w"))
     lent = lent.select("_d", "start", bottom_k(F.col("_w"), k, words).alias("next"))
     lent = lent.groupBy("_d").agg(F.min(F.struct("start", "next")).alias("l")).select("_d", "l.start", "l.next")
-    both = linked.select("_d", "text").join(lent, "_d")
+    both = rows.join(lent, "_d")
     edit = F.expr("concat(substring(text, 1, length(text) - cast(floor(length(text) / 3) as int)), substring(start, 1, cast(floor(length(text) / 3) as int)))")
     both = both.select("_d", F.length("text").cast("long").alias("n_chars"), edit.alias("edited"), "next", shingle_words(F.col("text")).alias("w"))
     both = both.select("_d", "n_chars", "next", F.sha2("edited", 256).alias("edited_sha256"), "w", shingle_words(F.col("edited")).alias("e"))
