@@ -227,9 +227,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, caps: tuple = CAPS, bi
     shared = sc.broadcast(twice_filter(found.select("core"), _core_hashes, bits))
     suspects = map_arrow(found, _suspects(shared, bits), "core long, ctx long, _d long, pos long")
     cores = suspects.groupBy("core").agg(F.min("_d").alias("low"), F.max("_d").alias("high"), F.min("ctx").alias("c1"), F.max("ctx").alias("c2")).where("low < high")
-    met = saved(suspects.join(cores.select("core", "low", (F.col("c1") == F.col("c2")).alias("agree")), "core"), "passage-met")
+    # Saved first: a join whose sides are both dealt anew can be split where a core is hot.
+    cores = saved(cores.select("core", "low", (F.col("c1") == F.col("c2")).alias("agree")), "passage-cores")
+    met = saved(suspects.join(cores, "core"), "passage-met")
     mixed = met.where("not agree").select("core", "ctx", "_d", "pos")
-    least = mixed.groupBy("core", "ctx").agg(F.min("_d").alias("low"))
+    least = saved(mixed.groupBy("core", "ctx").agg(F.min("_d").alias("low")), "passage-least")
     told = saved(mixed.join(least, ["core", "ctx"]).select("_d", "pos", "low"), "passage-contexts")
     drop_saved(found)
     row = F.shiftright("pos", 37).alias("_t")
@@ -238,6 +240,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, caps: tuple = CAPS, bi
     windows = map_arrow(packed.join(asks, ["_d", "_t"]).select("_d", "_t", "z", "asks"), _window_batch(window), "h1 long, h2 long, _d long, _t long, s long")
     windows = saved(windows, "passage-windows")
     first = windows.groupBy("h1", "h2").agg(F.min("_d").alias("low"), F.max("_d").alias("high")).where("low < high").drop("high")
+    first = saved(first, "passage-first")
     single = windows.join(first, ["h1", "h2"]).where("_d > low").select("_d", "_t", F.col("s").alias("x"))
     whole = met.where("agree and _d > low").select("_d", "pos").union(told.where("_d > low").select("_d", "pos"))
     cuts = whole.select("_d", row, F.col("pos").bitwiseAND(F.lit(2**37 - 1)).alias("x")).union(single).groupBy("_d", "_t").agg(F.collect_set("x").alias("cuts"))
