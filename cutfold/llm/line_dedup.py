@@ -90,7 +90,9 @@ def dedup_lines(docs: DataFrame, min_docs: int = MIN_DOCS, bits: int = BITS, emi
     shared = spark.sparkContext.broadcast(twice_filter(keyed.select("text"), _hashes, bits))
     seen = saved(map_arrow(keyed.select("_d", "_t", "text"), _suspects(shared, bits), "_d long, _t long, key binary"), "line-suspects")
     keys = seen.groupBy("key", "_d").agg(F.lit(1)).groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("_d").alias("keep"))
-    drops = seen.join(keys.where(F.col("n") >= min_docs), "key").where("_d < keep").groupBy("_d", "_t").agg(F.collect_set("key").alias("drops"))
+    # Saved first: a join whose sides are both dealt anew can be split where a line is hot.
+    keys = saved(keys.where(F.col("n") >= min_docs).select("key", "keep"), "line-keys")
+    drops = seen.join(keys, "key").where("_d < keep").groupBy("_d", "_t").agg(F.collect_set("key").alias("drops"))
     both = keyed.join(drops, ["_d", "_t"], "left").select("doc_id", "text", "drops")
     last = "text string" if emit_text else "kept_sha256 string"
     return map_arrow(both, _rewrite(emit_text), f"doc_id long, n_lines long, n_dropped long, {last}")
