@@ -49,6 +49,9 @@ def _split(base: DataFrame) -> DataFrame:
     spark = base.sparkSession
     digit = base.select("rid", "nbytes", "head")
     shared = digit.groupBy("nbytes", "head").agg(F.count(F.lit(1)).alias("n"), F.min("rid").alias("gid")).where("n > 1").drop("n")
+    # Names are saved before they are handed out: a join whose sides are both dealt
+    # anew can be split where a digit is hot.
+    shared = saved(shared, "radix-names")
     active = saved(digit.join(shared, ["nbytes", "head"]).select("rid", "gid", "nbytes"), "radix")
     done = [active.where(F.col("nbytes") <= HEAD).select("rid", "gid")]
     longest = active.agg(F.max("nbytes")).first()[0] or 0
@@ -65,6 +68,7 @@ def _split(base: DataFrame) -> DataFrame:
     for level in range(last):
         digits = cur.join(bodies.where(F.col("level") == level).select("rid", "digit"), "rid")
         names = digits.groupBy("gid", "digit").agg(F.count(F.lit(1)).alias("n"), F.min("rid").alias("next")).where("n > 1").drop("n")
+        names = saved(names, "radix-names")
         cur = saved(digits.join(names, ["gid", "digit"]).select("rid", F.col("next").alias("gid"), "nbytes"), "radix")
         held.append(cur)
         ended = F.col("nbytes") <= _offset(level + 1)
@@ -86,6 +90,7 @@ def _grouped(docs: DataFrame, row) -> tuple[DataFrame, DataFrame]:
     base = saved(keyed, "radix-rows")
     members = _split(base).join(base.select("rid", "d", "doc_id", "n_cp"), "rid")
     best = members.groupBy("gid").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct((-F.col("n_cp")).alias("a"), "d", "rid", "doc_id")).alias("k"))
+    best = saved(best, "radix-best")
     kept = members.select("rid", "gid").join(best, "gid").select("rid", "n", F.col("k.rid").alias("keep_rid"), F.col("k.doc_id").alias("keep_id"))
     return base, kept
 
