@@ -1,7 +1,8 @@
 """Connected components by alternating star contractions.
 
-Every round is two min-aggregations and two joins on the surviving edge list,
-so a hub's neighbourhood is never gathered into one row; the number of rounds
+Every round is two min-aggregations and two joins on the surviving edge list.
+The minima are saved before they are joined, so both sides of a join are dealt
+anew and adaptive execution can split a hub. The number of rounds
 grows with the logarithm of the longest shortest path.
 """
 
@@ -15,13 +16,13 @@ from cutfold.functions.storage import drop_saved, saved
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+    low = saved(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "cc-low")
     return both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
     down = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-    low = down.groupBy("u").agg(F.min("v").alias("m"))
+    low = saved(down.groupBy("u").agg(F.min("v").alias("m")), "cc-low")
     moved = down.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
 
