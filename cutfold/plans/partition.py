@@ -84,15 +84,19 @@ def partition(g: WeightedGraph, k: int, preset: Preset | str = "ci-fast", eps: f
     floor_at = stop_at if stop_at is not None else stop_nodes(size["n"], k)
     best = None
     for cycle in range(1, (preset.cycles if 2 * size["m"] > local_arcs else 1) + 1):
-        levels, maps, parts, s = [g], [], [best], size
+        levels, maps, parts, s, f = [g], [], [best], size, preset.f
         while 2 * s["m"] > local_arcs and s["n"] >= floor_at and len(levels) < max_levels:
-            bound = cluster_cap(cap, s["heaviest"], preset.f)
+            bound = cluster_cap(cap, s["heaviest"], f)
             labels = _labels(levels[-1], bound, preset, k, seed, len(levels), cycle, parts[-1])
             coarse, to = contract(levels[-1], labels)
             coarse, to = coarse.saved(), saved(to, "projection")
             before, s = s["n"], coarse.sizes()
             if s["n"] > 0.95 * before:
-                break
+                # The bound blocks all moves: loosen it rather than hand a task too much.
+                if f <= 2:
+                    break
+                f, s = f // 2, levels[-1].sizes()
+                continue
             history.append({"cycle": cycle, "level": len(levels) + 1, "phase": "contract", "nodes": s["n"], "edges": s["m"]})
             maps.append(to)
             parts.append(inherit(parts[-1], to) if parts[-1] is not None else None)

@@ -1 +1 @@
-
+"""Graphs from event streams, and partitions that follow them."""
