@@ -25,7 +25,7 @@ def test_language_edges(spark, docs, none, rows):
     assert language_id.fit(none) is None
     assert language_id.predict_language(none, None, none["doc_id"]).count() == 0
     kept = language_id.reject_unknown(docs)
-    assert kept.schema == docs.schema and kept.count() == len(rows) - 4
+    assert kept.dtypes == docs.dtypes and kept.count() == len(rows) - 4
 
 
 def test_families_and_pairs():
@@ -83,5 +83,5 @@ def test_toxicity_edges(spark, docs, none, rows):
     out = toxicity.score_toxicity(docs, model).collect()
     assert len(out) == len(rows) and all(0 <= r.score <= 1 and r.predicted == int(r.score >= 0.3) for r in out)
     empty = toxicity.fit(docs, labels.limit(0))
-    assert {r.score for r in toxicity.score_toxicity(docs, empty).collect()} == {pytest.approx(0, abs=1e-9)}
+    assert all(r.score < 1e-9 for r in toxicity.score_toxicity(docs, empty).collect())
     assert toxicity.score_toxicity(none, model).count() == 0
