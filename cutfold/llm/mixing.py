@@ -118,7 +118,7 @@ def mix_copies(units: DataFrame, weights: tuple = WEIGHTS, cap: float = CAP, blo
     match = F.col("source").eqNullSafe(F.col("csource")) & F.col("id").eqNullSafe(F.col("cid")) & (F.col("h") == F.col("ch"))
     out = out.join(chosen, match, "left").drop("csource", "cid", "ch")
     extra = F.least(F.coalesce("extra", F.lit(0)), F.lit(1))
-    return out.withColumn("copies", (F.col("whole") + F.when(F.col("size") > 0, extra).otherwise(0)).cast("long")).drop("extra", "whole")
+    return out.withColumn("copies", F.when(F.col("size") > 0, F.col("whole") + extra).otherwise(0).cast("long")).drop("extra", "whole")
 
 
 def _units(docs: DataFrame, *more: Column) -> DataFrame:
