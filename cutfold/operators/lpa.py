@@ -8,7 +8,7 @@ admitted while they fit, departures uncounted, so no cluster ever exceeds the ca
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from cutfold.functions import hashing
@@ -98,6 +98,30 @@ def admit(proposals: DataFrame, sizes: DataFrame, cap: int | None, mode: str = "
     return known.where("all").select(*cols).union(ranked.select(*cols))
 
 
+def advance(labels: DataFrame, moves: DataFrame) -> tuple[DataFrame, int]:
+    """Save the labels after the moves, and count the moves on the way: one job."""
+    to = moves.select("id", F.col("target").alias("_to"))
+    both = labels.join(to, "id", "left")
+    seen = Observation()
+    both = both.observe(seen, F.count("_to").alias("moved"))
+    rest = [c for c in labels.columns if c not in ("id", "cluster")]
+    out = saved(both.select("id", F.coalesce("_to", "cluster").alias("cluster"), *rest), "labels")
+    return out, int(seen.get["moved"])
+
+
+def renewed(labels: DataFrame) -> DataFrame:
+    """Labels whose ``start`` is where they are now; the saved copy stays known."""
+    out = labels.withColumn("start", F.col("cluster"))
+    out._scratch_path = getattr(labels, "_scratch_path", None)
+    return out
+
+
+def moved_neighbours(arcs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Ids next to a node whose cluster is no longer its ``start``."""
+    gone = labels.where("cluster <> start").select(F.col("id").alias("dst"))
+    return arcs.join(gone, "dst", "left_semi").select(F.col("src").alias("id")).distinct()
+
+
 def commit(labels: DataFrame, moves: DataFrame) -> DataFrame:
     """Labels after the admitted moves."""
     to = moves.select("id", F.col("target").alias("_to"))
@@ -135,28 +159,25 @@ def propagate(g: WeightedGraph, cap: int | None, rounds: int = 10, stop: float =
     else:
         base = base.withColumn("bucket", F.lit(0))
         buckets, sub = 1, buckets * sub
-    labels = saved(base, "labels")
+    labels = saved(base.withColumn("start", F.col("cluster")), "labels")
     n = labels.count()
     live: DataFrame | None = None
     for r in range(rounds):
         s = hashing.salt(seed, cycle, level, r)
-        start, moved = labels, 0
+        moved = 0
         for wave in range(buckets * sub):
             who = labels.where((F.col("bucket") == wave // sub) & (hashing.part_of(F.col("id"), s, sub) == wave % sub)).select("id")
             if live is not None:
                 who = who.join(live, "id", "left_semi")
-            moves = saved(superstep(arcs, labels, who, cap, s), "moves")
-            nxt = saved(commit(labels, moves), "labels")
-            moved += moves.count()
-            if labels is not start:
-                drop_saved(labels)
-            labels = nxt
+            nxt, count = advance(labels, superstep(arcs, labels, who, cap, s))
+            drop_saved(labels)
+            labels, moved = nxt, moved + count
         if log is not None:
             log.append({"round": r, "moved": moved, "nodes": n})
         if not moved or moved < stop * n:
             break
         if active:
-            diff = start.select("id", F.col("cluster").alias("old")).join(labels, "id").where("old <> cluster").select(F.col("id").alias("dst"))
-            live = saved(arcs.join(diff, "dst", "left_semi").select(F.col("src").alias("id")).distinct(), "active")
+            live = saved(moved_neighbours(arcs, labels), "active")
+        labels = renewed(labels)
     drop_saved(arcs)
     return labels.select("id", "cluster", "c")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from cutfold.functions import hashing
 from cutfold.functions.storage import drop_saved, saved
 from cutfold.operators.graph import WeightedGraph
-from cutfold.operators.lpa import commit, sizes_of, superstep
+from cutfold.operators.lpa import advance, moved_neighbours, renewed, sizes_of, superstep
 
 
 def lp_refine(g: WeightedGraph, part: DataFrame, k: int, cap: int, rounds: int = 10, seed: int = 0, level: int = 1, cycle: int = 1, waves: int = 2, mode: str = "histogram", log: list | None = None) -> DataFrame:
@@ -16,28 +16,25 @@ def lp_refine(g: WeightedGraph, part: DataFrame, k: int, cap: int, rounds: int =
     neighbours of nodes moved in the last round are active, and the nodes of
     overloaded blocks, which must leave as far as the excess asks."""
     arcs = saved(g.arcs().repartition("src"), "arcs")
-    labels = saved(g.nodes.join(part, "id").select("id", F.col("block").cast("long").alias("cluster"), "c"), "labels")
+    labels = saved(g.nodes.join(part, "id").select("id", F.col("block").cast("long").alias("cluster"), "c", F.col("block").cast("long").alias("start")), "labels")
     live = None
     for r in range(rounds):
         s = hashing.salt(seed, cycle, level, 500 + r)
-        start, moved = labels, 0
+        moved = 0
         for wave in range(waves):
             who = labels.where(hashing.part_of(F.col("id"), s, waves) == wave).select("id", "cluster")
             if live is not None:
                 heavy = sizes_of(labels).where(F.col("size") > cap).select("cluster")
                 who = who.join(live, "id", "left_semi").union(who.join(heavy, "cluster", "left_semi").select("id", "cluster")).distinct()
-            moves = saved(superstep(arcs, labels, who.select("id"), cap, s, mode, over=True, excess=True), "moves")
-            nxt = saved(commit(labels, moves), "labels")
-            moved += moves.count()
-            if labels is not start:
-                drop_saved(labels)
-            labels = nxt
+            nxt, count = advance(labels, superstep(arcs, labels, who.select("id"), cap, s, mode, over=True, excess=True))
+            drop_saved(labels)
+            labels, moved = nxt, moved + count
         if log is not None:
             log.append({"round": r, "moved": moved})
         if not moved:
             break
-        diff = start.select("id", F.col("cluster").alias("old")).join(labels, "id").where("old <> cluster").select(F.col("id").alias("dst"))
-        live = saved(arcs.join(diff, "dst", "left_semi").select(F.col("src").alias("id")).distinct(), "active")
+        live = saved(moved_neighbours(arcs, labels), "active")
+        labels = renewed(labels)
     drop_saved(arcs)
     return labels.select("id", F.col("cluster").cast("int").alias("block"))
 

@@ -1,4 +1,5 @@
 import math
+from dataclasses import replace
 
 import pytest
 from pyspark.sql import functions as F
@@ -9,6 +10,7 @@ from cutfold.operators import ensemble, lpa, matching, metrics, refine
 from cutfold.operators.components import star_components
 from cutfold.operators.graph import WeightedGraph, from_pairs, to_local, validate
 from cutfold.plans import partition as plan
+from cutfold.plans import presets
 from cutfold.sources import builders
 
 
@@ -148,7 +150,7 @@ def test_components(spark):
 
 def test_distributed_partition(spark, planted):
     for preset in ("ci-fast", "mi-eco+b"):
-        r = plan.partition(planted, 4, preset, local_arcs=1000, stop_at=40, tries=2)
+        r = plan.partition(planted, 4, replace(presets.get(preset), rounds=2), local_arcs=1900, stop_at=40, tries=2)
         told = metrics.imbalance(planted, r.part, 4, r.cap).first()
         assert told.feasible and r.part.count() == 240
         assert metrics.cut(planted, r.part).first()["cut"] == r.history[-1]["cut"]
