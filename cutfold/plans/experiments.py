@@ -43,7 +43,7 @@ def runs(spark: SparkSession, sf_dir: str, instances: list[str], names: list[str
     """One row per instance, name, k and seed (schema ``RUNS``), saved."""
     out = None
     for instance in instances:
-        g, _ = to_local(builders.TABLE_GRAPHS[instance](spark, sf_dir), limit)
+        g, _ = to_local(builders.GRAPHS[instance](spark, sf_dir), limit)
         shared = spark.sparkContext.broadcast(g)
         jobs = [(name, k, seed) for name in names for k in ks for seed in range(seeds)]
 
@@ -98,7 +98,7 @@ WORKLOADS = {
     "huge": (presets.HUGE + ["two-hop-kway", "recursive-bisect"], (16,)),
     "balance": (["recursive-bisect", "net-kway", "two-hop-kway", "plain-lp"], KS),
 }
-INSTANCES = ["page_links", "doc_lines", "geo_tree", "supply", "knn", "basket", "order_part"]
+INSTANCES = ["page_links", "doc_lines", "geo_tree", "supply", "knn", "basket", "order_part", "communities", "hub_communities", "mesh"]
 
 
 def workload(spark: SparkSession, sf_dir: str, name: str, instances=None, ks=None, seeds: int = 3, **how) -> DataFrame:
@@ -110,7 +110,7 @@ def workload(spark: SparkSession, sf_dir: str, name: str, instances=None, ks=Non
 def coarsening_profile(spark: SparkSession, sf_dir: str, instance: str, k: int = 16, names=("ci-fast", "matching-eco"), seed: int = 0) -> DataFrame:
     """Nodes, edges, edge weight and edges per node of each level of the hierarchies
     by clustering and by matching."""
-    g, _ = to_local(builders.TABLE_GRAPHS[instance](spark, sf_dir), LOCAL_ARCS)
+    g, _ = to_local(builders.GRAPHS[instance](spark, sf_dir), LOCAL_ARCS)
     rows = []
     from cutfold.functions.caps import cluster_cap, stop_nodes
 

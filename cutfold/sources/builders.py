@@ -180,14 +180,19 @@ def cliques(spark, count: int, size: int) -> WeightedGraph:
     return from_pairs(pairs.union(bridge).withColumn("w", F.lit(1)))
 
 
-def planted(spark, n: int, blocks: int, inside: int = 6, across: int = 1, seed: int = 0) -> WeightedGraph:
+def planted(spark, n: int, blocks: int, inside: int = 6, across: int = 1, seed: int = 0, hubs: bool = False) -> WeightedGraph:
     """Block b holds the ids equal to b modulo ``blocks``; every node draws partners
-    inside its block and anywhere."""
-    from cutfold.functions.hashing import part_of
+    inside its block and anywhere. With ``hubs`` partners are drawn by the cube of a
+    uniform number, which gives heavy-tailed degrees."""
+    from cutfold.functions.hashing import P, mix, part_of
 
     def draws(m, spread, salt):
         d = spark.range(n).select("id", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("j"))
-        x = part_of(F.col("id") * 64 + F.col("j"), salt, spread)
+        key = F.col("id") * 64 + F.col("j")
+        x = part_of(key, salt, spread)
+        if hubs:
+            r = mix(key, salt)
+            x = F.floor(F.floor(F.floor(r * r / P) * r / P) * spread / P)
         return d, x
 
     d, x = draws(inside, max(1, n // blocks), seed * 2 + 1)
@@ -214,6 +219,13 @@ TABLE_GRAPHS = {
     "user_minutes": user_minutes,
 }
 
+#: Every named graph: those of the tables, and synthetic ones with communities.
+GRAPHS = TABLE_GRAPHS | {
+    "communities": lambda spark, sf_dir: planted(spark, 5000, 40, 5, 2),
+    "hub_communities": lambda spark, sf_dir: planted(spark, 5000, 40, 5, 2, hubs=True),
+    "mesh": lambda spark, sf_dir: grid(spark, 70, 70),
+}
+
 _CANON = "SELECT least(u, v) AS u, greatest(u, v) AS v, cast(sum(w) AS BIGINT) AS w FROM ({}) p WHERE u <> v GROUP BY 1, 2"
 SQL = {
     "basket": _CANON.format("SELECT a.l_partkey AS u, b.l_partkey AS v, 1 AS w FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey"),
