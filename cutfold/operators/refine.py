@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from cutfold.functions import hashing
 from cutfold.functions.storage import drop_saved, saved
 from cutfold.operators.graph import WeightedGraph
-from cutfold.operators.lpa import advance, moved_neighbours, renewed, sizes_of, superstep
+from cutfold.operators.lpa import advance, commit, connections, moved_neighbours, renewed, sizes_of, superstep
 
 
 def lp_refine(g: WeightedGraph, part: DataFrame, k: int, cap: int, rounds: int = 10, seed: int = 0, level: int = 1, cycle: int = 1, waves: int = 2, mode: str = "histogram", log: list | None = None) -> DataFrame:
@@ -64,3 +64,31 @@ def quality(g: WeightedGraph, part: DataFrame, cap: int) -> tuple[int, int]:
 def keep_better(g: WeightedGraph, a: DataFrame, b: DataFrame, cap: int) -> DataFrame:
     """b if it is not worse than a."""
     return b if quality(g, b, cap) <= quality(g, a, cap) else a
+
+
+def force_balance(g: WeightedGraph, part: DataFrame, k: int, cap: int) -> DataFrame:
+    """Last resort where no neighbouring block has room: blocks over the cap hand their
+    nodes of least loss to the blocks with room, lightest first. The nodes that leave
+    and the rooms are laid out on one line of weight and matched by position; a node
+    that would straddle two rooms stays."""
+    labels = g.nodes.join(part, "id").select("id", F.col("block").cast("long").alias("cluster"), "c")
+    known = sizes_of(labels)
+    blocks = part.sparkSession.range(k).select(F.col("id").alias("cluster")).join(known, "cluster", "left").select("cluster", F.coalesce("size", F.lit(0)).alias("size"))
+    heavy = blocks.where(F.col("size") > cap).select("cluster", (F.col("size") - cap).alias("shed"))
+    mine = connections(g.arcs(), labels).withColumnRenamed("cluster", "at")
+    own = labels.join(heavy, "cluster").where("c > 0")
+    tie = own.join(mine.withColumnRenamed("src", "id"), "id", "left")
+    here = F.coalesce(F.max(F.when(F.col("at") == F.col("cluster"), F.col("strength"))), F.lit(0))
+    away = F.coalesce(F.max(F.when(F.col("at") != F.col("cluster"), F.col("strength"))), F.lit(0))
+    loss = tie.groupBy("id", "cluster", "c", "shed").agg((here - away).alias("loss"))
+    gone = F.coalesce(F.sum("c").over(Window.partitionBy("cluster").orderBy("loss", "id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    leave = loss.withColumn("gone", gone).where("gone < shed")
+    # One row per block from here on.
+    before = leave.groupBy("cluster").agg(F.sum("c").alias("all"))
+    before = before.select("cluster", F.coalesce(F.sum("all").over(Window.orderBy("cluster").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("shift"))
+    room = blocks.where(F.col("size") < cap).select(F.col("cluster").alias("to"), (F.lit(cap) - F.col("size")).alias("room"))
+    upto = F.sum("room").over(Window.orderBy(F.col("room").desc(), "to"))
+    room = room.select("to", (upto - F.col("room")).alias("lo"), upto.alias("hi"))
+    placed = leave.join(before, "cluster").select("id", (F.col("shift") + F.col("gone")).alias("a"), (F.col("shift") + F.col("gone") + F.col("c")).alias("z"))
+    moves = placed.join(F.broadcast(room), F.expr("a >= lo and z <= hi")).select("id", F.col("to").alias("target"))
+    return commit(labels, moves).select("id", F.col("cluster").cast("int").alias("block"))

@@ -118,6 +118,8 @@ def partition(g: WeightedGraph, k: int, preset: Preset | str = "ci-fast", eps: f
             else:
                 part = refine.boundary_refine(levels[level - 1], part, k, here, seed=seed, level=level)
             part = saved(part, "part")
+            if level == 1 and refine.quality(g, part, cap)[0]:
+                part = saved(refine.force_balance(g, part, k, cap), "part")
         best = part if best is None else refine.keep_better(g, best, part, cap)
         done = metrics.cut(g, best).first()["cut"]
         history.append({"cycle": cycle, "level": 1, "phase": "final", "nodes": size["n"], "edges": size["m"], "cut": int(done)})

@@ -536,6 +536,29 @@ def pivot_runs(spark, sf_dir):
     return p.select("instance", F.col("2").alias("k2"), F.col("4").alias("k4"), F.col("8").alias("k8"))
 
 
+@query("unpivot_runs", _runs_sql() + "SELECT instance, preset, measure, value FROM (SELECT instance, preset, cast(sum(cut) AS BIGINT) AS total, cast(min(cut) AS BIGINT) AS best, cast(max(cut) AS BIGINT) AS worst FROM runs GROUP BY 1, 2) x UNPIVOT (value FOR measure IN (total, best, worst))")
+def unpivot_runs(spark, sf_dir):
+    w = _hash_runs(spark, sf_dir).groupBy("instance", "preset").agg(F.sum("cut").alias("total"), F.min("cut").alias("best"), F.max("cut").alias("worst"))
+    return w.unpivot(["instance", "preset"], ["total", "best", "worst"], "measure", "value")
+
+
+@query("cluster_sizes", f"WITH {stepsql.graph('doc_lines')}, {_SINGLE}, {stepsql.step('l1', 'l0', 6, 7)}, z AS (SELECT cluster, count(*) AS size FROM l1 GROUP BY cluster) SELECT size, count(*) AS clusters FROM z GROUP BY size")
+def cluster_sizes(spark, sf_dir):
+    """The distribution of cluster sizes after one superstep."""
+    g = _graph(spark, sf_dir, "doc_lines").saved()
+    labels = lpa.singletons(g)
+    labels = lpa.commit(labels, lpa.superstep(g.arcs(), labels, None, 6, 7))
+    return lpa.sizes_of(labels).groupBy("size").agg(F.count(F.lit(1)).alias("clusters"))
+
+
+@query("forced_balance_step")
+def forced_balance_step(spark, sf_dir):
+    """Nine tenths of the nodes start in block 0; the result is feasible."""
+    g = _graph(spark, sf_dir, "page_links").saved()
+    start = g.nodes.select("id", F.greatest(hashing.part_of(F.col("id"), 11, 40) - 36, F.lit(0)).alias("block"))
+    return metrics.imbalance(g, refine.force_balance(g, start, 4, caps.block_cap(g.sizes()["total"], 4, 0.03)), 4, caps.block_cap(g.sizes()["total"], 4, 0.03))
+
+
 @query("partition_diff", f"WITH {stepsql.graph('supply')}, a AS (SELECT id, {hashing.part_sql('id', 11, 4)} AS x FROM nodes WHERE id % 3 <> 0), b AS (SELECT id, {hashing.part_sql('id', 12, 4)} AS y FROM nodes WHERE id % 5 <> 0) SELECT id, x, y, NOT (x IS NOT DISTINCT FROM y) AS differs FROM a FULL OUTER JOIN b USING (id)")
 def partition_diff(spark, sf_dir):
     n = _graph(spark, sf_dir, "supply").nodes

@@ -122,6 +122,16 @@ def test_overloaded_start(spark):
     assert {r.id: r.block for r in got.collect()} == {0: 0, 1: 0, 2: 1, 3: 1}
 
 
+def test_forced_balance(spark):
+    """Two components: the overloaded block has no neighbouring block to move to."""
+    g = builders.cliques(spark, 1, 6)
+    nodes = g.nodes.union(spark.createDataFrame([(10, 1), (11, 1)], "id long, c long"))
+    g = WeightedGraph(nodes, g.edges).saved()
+    start = g.nodes.select("id", (F.col("id") >= 10).cast("int").alias("block"))
+    got = refine.force_balance(g, start, 3, 3)
+    assert metrics.imbalance(g, got, 3, 3).first().feasible and got.count() == 8
+
+
 def test_refinement_improves(spark, planted):
     start = planted.nodes.select("id", hashing.part_of(F.col("id"), 3, 4).alias("block"))
     cap = caps.block_cap(240, 4, 0.1)
