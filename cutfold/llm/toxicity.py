@@ -1,8 +1,10 @@
 """Toxicity by a counterfactual-regularised linear classifier.
 
 Features are the distinct words of a text (lower-cased) and their prefixes of 4
-to 6 characters, so that inflected abuse is met. The best ``terms`` features by
-chi-square are kept, and every identity term. The fit minimises
+to 8 characters, so that inflected abuse is met. Of the features whose chi-square
+with the label is at least ``least`` the best ``terms`` are kept, and every identity
+term; without that floor a small labelled set spreads its weight over chance
+features. The fit minimises
 
     weighted log loss + ridge + swap * mean((s(x) - s(x'))^2)
 
@@ -30,7 +32,8 @@ from pyspark.sql import functions as F
 
 from cutfold.llm._common import held_out, map_arrow
 
-PER_CLASS, TERMS, MIN_DF, THRESHOLD = 3000, 8192, 4, 0.3
+PER_CLASS, TERMS, MIN_DF, LEAST, THRESHOLD = 3000, 8192, 4, 15.0, 0.3
+PREFIXES = (4, 5, 6, 7, 8)
 # Terms that name groups; a swap stays within a line.
 IDENTITY = [
     "men women man woman boys girls males females",
@@ -51,7 +54,7 @@ def word_features(word: str) -> list[str]:
     """The features of one lower-cased word."""
     if word in _GROUP:
         return [word]
-    return [word] + [word[:n] + "*" for n in (4, 5, 6) if len(word) > n]
+    return [word] + [word[:n] + "*" for n in PREFIXES if len(word) > n]
 
 
 def text_features(text: str) -> set[str]:
@@ -81,7 +84,7 @@ class Classifier:
         return {"weights": self.weights, "bias": self.bias, "memo": {}}
 
 
-def _select(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int, min_df: int) -> list[str]:
+def _select(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int, min_df: int, least: float) -> list[str]:
     df, pos = {}, {}
     for s, t, w in zip(sets, y, share):
         for f in s:
@@ -96,17 +99,18 @@ def _select(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int,
         if n >= min_df:
             expect = w * p
             chi = (pos.get(f, 0.0) - expect) ** 2 / max(expect * (1 - p) * (1 - w / total), 1e-9)
-            ranked.append((-chi, f))
+            if chi >= least:
+                ranked.append((-chi, f))
     ranked.sort()
     return sorted({f for _, f in ranked[:terms]} | set(_GROUP))
 
 
-def train(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int = TERMS, min_df: int = MIN_DF, ridge: float = 2e-4, swap: float = 1.0, steps: int = 300) -> Classifier:
+def train(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int = TERMS, min_df: int = MIN_DF, least: float = LEAST, ridge: float = 1e-4, swap: float = 1.0, steps: int = 1000) -> Classifier:
     """Fit to feature sets, labels 0/1 and row weights."""
     p = float((share * y).sum() / share.sum())
     if p <= 0 or p >= 1:
         return Classifier({}, 30.0 if p >= 1 else -30.0)
-    names = _select(sets, y, share, terms, min_df)
+    names = _select(sets, y, share, terms, min_df, least)
     at = {f: i for i, f in enumerate(names)}
     cols = [np.array(sorted(at[f] for f in s if f in at), np.int64) for s in sets]
     row = np.repeat(np.arange(len(cols)), [len(c) for c in cols])
