@@ -98,7 +98,7 @@ WORKLOADS = {
     "huge": (presets.HUGE + ["two-hop-kway", "recursive-bisect"], (16,)),
     "balance": (["recursive-bisect", "net-kway", "two-hop-kway", "plain-lp"], KS),
 }
-INSTANCES = ["page_links", "doc_lines", "geo_tree", "supply", "knn", "basket", "order_part", "communities", "hub_communities", "mesh"]
+INSTANCES = ["page_links", "doc_line_hubs", "geo_tree", "supply", "knn", "basket", "order_part", "communities", "hub_communities", "mesh"]
 
 
 def workload(spark: SparkSession, sf_dir: str, name: str, instances=None, ks=None, seeds: int = 3, **how) -> DataFrame:

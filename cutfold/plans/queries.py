@@ -696,13 +696,13 @@ def refine_boundary(spark, sf_dir):
 
 
 for _w in experiments.WORKLOADS:
-    query("workload_" + _w)(lambda spark, sf_dir, w=_w: experiments.summary(experiments.workload(spark, sf_dir, w, ["page_links", "doc_lines"], (4, 16) if w != "huge" else None, 1, stop_at=60)))
+    query("workload_" + _w)(lambda spark, sf_dir, w=_w: experiments.summary(experiments.workload(spark, sf_dir, w, ["page_links", "doc_line_hubs"], (4, 16) if w != "huge" else None, 1, stop_at=60)))
 
 
 @query("workload_initial_vs_final")
 def workload_initial_vs_final(spark, sf_dir):
     """How far local search takes the initial partition, per preset."""
-    r = experiments.runs(spark, sf_dir, ["page_links", "doc_lines"], ["mi-fast", "ci-fast", "mi-eco"], (4, 8), 1, stop_at=60)
+    r = experiments.runs(spark, sf_dir, ["page_links", "doc_line_hubs"], ["mi-fast", "ci-fast", "mi-eco"], (4, 8), 1, stop_at=60)
     return r.groupBy("instance", "preset").agg(F.avg("initial_cut").alias("initial"), F.avg("cut").alias("final"), F.round(F.avg(1 - F.col("cut") / F.greatest("initial_cut", F.lit(1))), 6).alias("gain"))
 
 

@@ -80,7 +80,8 @@ def page_hosts(spark, sf_dir) -> WeightedGraph:
 
 
 def doc_lines(spark, sf_dir) -> WeightedGraph:
-    """Documents that share a line; lines of more than 50 documents are stop lines."""
+    """Documents that share a line of 2 to MAX_LINE_DOCS documents, as its SQL fixes;
+    ``doc_line_hubs`` keeps the more frequent lines too."""
     d = load(spark, sf_dir, "documents", "doc_id", "text")
     lines = d.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") > MIN_LINE_CHARS).distinct()
     lines = lines.select("doc_id", F.md5("line").alias("key"))
@@ -88,6 +89,16 @@ def doc_lines(spark, sf_dir) -> WeightedGraph:
     return from_pairs(_pairs(lines.join(stop.select("key"), "key"), "key", "doc_id"))
 
 
+def doc_line_hubs(spark, sf_dir) -> WeightedGraph:
+    """Documents and the lines that two or more of them hold, however many they are:
+    a node per line, so a line costs one edge per document instead of all pairs."""
+    d = load(spark, sf_dir, "documents", "doc_id", "text").where("doc_id is not null")
+    lines = d.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") > MIN_LINE_CHARS)
+    lines = lines.select("doc_id", text_id(F.col("line")).alias("key")).distinct()
+    shared = lines.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n >= 2").select("key")
+    return from_pairs(lines.join(shared, "key").select((2 * F.col("doc_id")).alias("u"), (2 * F.col("key") + 1).alias("v"), F.lit(1).alias("w")))
+
+
 def geo_tree(spark, sf_dir) -> WeightedGraph:
     """Regions, nations, customers and suppliers as trees; ids are 4 * key + kind."""
     n = load(spark, sf_dir, "nation", "n_nationkey", "n_regionkey")
@@ -212,6 +223,7 @@ TABLE_GRAPHS = {
     "page_links": page_links,
     "page_hosts": page_hosts,
     "doc_lines": doc_lines,
+    "doc_line_hubs": doc_line_hubs,
     "knn": knn,
     "geo_tree": geo_tree,
     "turns": turns,
@@ -238,6 +250,8 @@ SQL = {
     "doc_lines": "WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) > 20), "
     "s AS (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 50), k AS (SELECT l.* FROM l JOIN s USING (line)) "
     + _CANON.format("SELECT a.doc_id AS u, b.doc_id AS v, 1 AS w FROM k a JOIN k b ON a.line = b.line AND a.doc_id < b.doc_id"),
+    "doc_line_hubs": "WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents WHERE doc_id IS NOT NULL) WHERE length(line) > 20), "
+    "s AS (SELECT line FROM l GROUP BY line HAVING count(*) >= 2) " + _CANON.format(f"SELECT 2 * doc_id AS u, 2 * {text_id_sql('line')} + 1 AS v, 1 AS w FROM l JOIN s USING (line)"),
     "geo_tree": _CANON.format(
         "SELECT 4 * n_regionkey::BIGINT AS u, 4 * n_nationkey::BIGINT + 1 AS v, 1 AS w FROM nation UNION ALL SELECT 4 * c_nationkey::BIGINT + 1, 4 * c_custkey + 2, 1 FROM customer UNION ALL SELECT 4 * s_nationkey::BIGINT + 1, 4 * s_suppkey + 3, 1 FROM supplier"
     ),

@@ -107,3 +107,13 @@ def test_following_a_stream(spark, tmp_path):
     part = spark.read.parquet(str(tmp_path / "out" / "part" / "2"))
     assert part.count() == 90 and part.where("block not between 0 and 2").count() == 0
     assert spark.read.parquet(str(tmp_path / "out" / "edges" / "2")).count() == g.edges.count()
+
+
+def test_frequent_lines_link_their_documents(spark, tmp_path):
+    common = "a line that very many documents hold"
+    docs = [(i, f"{common}\n{common}\nand a line of its own, number {i}") for i in range(120)] + [(None, common)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    g = builders.TABLE_GRAPHS["doc_line_hubs"](spark, str(tmp_path))
+    validate(g)
+    assert [r.u for r in g.edges.orderBy("u").collect()] == [2 * i for i in range(120)]
+    assert g.edges.select("v").distinct().count() == 1 and g.nodes.count() == 121
