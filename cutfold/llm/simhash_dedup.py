@@ -15,7 +15,8 @@ the pigeonhole principle on the bits outside its part, which keeps every pair
 within the radius. Components come from the shared star contraction.
 
 Defined cases: NULL and word-free texts have fingerprint zero and link like any
-other; fewer words than a shingle form one shingle; NULL ids rank last.
+other; fewer words than a shingle form one shingle; NULL ids rank last, and neither
+they nor repeated ids join groups whose fingerprints are apart.
 """
 
 from __future__ import annotations
@@ -198,18 +199,20 @@ def links(distinct: DataFrame, radius: int = RADIUS, parts: int = PARTS, bucket:
 
 
 def near_groups(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """``fps(_d, fp, ...)`` with ``component``: the smallest ``_d`` reachable."""
-    distinct = saved(fps.groupBy("fp").agg(F.min("_d").alias("d")), "simhash-classes")
-    comps = star_components(links(distinct, radius))
-    named = distinct.join(comps.select(F.col("id").alias("d"), "component"), "d", "left").select("fp", F.coalesce("component", "d").alias("component"))
-    return fps.join(named, "fp")
+    """``fps(_d, fp, ...)`` with ``root``, the smallest fingerprint reachable, which
+    names the group, and ``component``, the smallest ``_d`` of the group."""
+    distinct = saved(fps.groupBy("fp").agg(F.min("_d").alias("least")), "simhash-classes")
+    roots = star_components(links(distinct.select("fp", F.col("fp").alias("d")), radius)).select(F.col("id").alias("fp"), F.col("component").alias("root"))
+    named = saved(distinct.join(roots, "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root")), "simhash-roots")
+    least = named.groupBy("root").agg(F.min("least").alias("component"))
+    return fps.join(named.select("fp", "root").join(least, "root"), "fp")
 
 
 def near_dedup(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> DataFrame:
     """The input rows and columns, one row (the smallest id) of each group."""
     rows = saved(docs.select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row")), "simhash-rows")
     groups = near_groups(fingerprints(rows.select("rid", "row.doc_id", "row.text"), words, F.col("rid")), radius)
-    kept = groups.groupBy("component").agg(F.min(F.struct("_d", "rid")).alias("k")).select("k.rid")
+    kept = groups.groupBy("root").agg(F.min(F.struct("_d", "rid")).alias("k")).select("k.rid")
     return rows.join(kept, "rid", "left_semi").select("row.*")
 
 

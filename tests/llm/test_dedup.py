@@ -158,3 +158,12 @@ def test_threshold_allocation():
     dear = {-1: 0.0, 0: 100.0, 1: 500.0, 2: 900.0}
     assert simhash_dedup.allocate(2, [cheap, dear, dear]) == [2, -1, -1]
     assert sum(simhash_dedup.allocate(2, [cheap, cheap])) == 1
+
+
+def test_null_and_repeated_ids_join_no_groups(spark):
+    texts = ["alpha beta gamma delta", "one two three four five", "red green blue white", "north east south west"]
+    df = spark.createDataFrame(list(zip([None, None, 7, 7], texts)), "doc_id long, text string")
+    got = simhash_dedup.near_groups(simhash_dedup.fingerprints(df)).collect()
+    assert len({r.fp for r in got}) == len({r.root for r in got}) == 4
+    assert sorted(r.component for r in got) == [7, 7, simhash_dedup.LAST, simhash_dedup.LAST]
+    assert {r.text for r in simhash_dedup.near_dedup(df).collect()} == set(texts)
