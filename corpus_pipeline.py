@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from cutfold.functions.storage import drop_saved, saved
-from cutfold.llm import exact_dedup, language_id, mixing, pieces, simhash_dedup
+from cutfold.llm import exact_dedup, language_id, mixing, near_pairs, pieces
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -24,8 +24,8 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by SimHash fingerprints stays."""
-    return simhash_dedup.near_dedup(docs)
+    """One document of each group linked by similarity 0.8 of five-word shingles stays."""
+    return near_pairs.near_dedup(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +41,7 @@ def piece_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("language_id", language_stage),
     ("exact_dedup", exact_stage),
-    ("simhash_near_dedup", near_stage),
+    ("near_dedup", near_stage),
     ("mix_sources", mixing_stage),
     ("sentence_pieces", piece_stage),
 ]

@@ -23,3 +23,28 @@ def test_run(spark):
 def test_run_on_an_empty_table(spark, tmp_path):
     spark.read.parquet("/root/testdata/sf0.001/documents.parquet").limit(0).write.parquet(str(tmp_path / "documents.parquet"))
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_near_stage_finds_all_near_copies(spark):
+    import random
+
+    rng = random.Random(3)
+    rows, shingles = [], lambda t: {tuple(t.split()[i : i + 5]) for i in range(max(1, len(t.split()) - 4))}
+    for base in range(8):
+        words = [f"w{rng.randrange(900)}" for _ in range(120)]
+        for copy in range(5):
+            edited = list(words)
+            for at in rng.sample(range(120), copy):
+                edited[at] = f"x{rng.randrange(900)}"
+            rows.append((len(rows), " ".join(edited)))
+    rows += [(None, "an unrelated text without any id"), (None, "another one that shares no shingle")]
+    root = list(range(len(rows)))
+    for i, (_, a) in enumerate(rows):
+        for j, (_, b) in enumerate(rows[:i]):
+            x, y = shingles(a), shingles(b)
+            if len(x & y) >= 0.8 * len(x | y):
+                old, new = max(root[i], root[j]), min(root[i], root[j])
+                root = [new if r == old else r for r in root]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = corpus_pipeline.near_stage(spark, df, "").collect()
+    assert sorted(r.text for r in kept) == sorted(rows[r][1] for r in set(root)) and len(kept) < len(rows) - 8
