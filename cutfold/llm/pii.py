@@ -91,7 +91,7 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 def loose_spans(text: str, taken: list[tuple[int, int, int]]) -> list[tuple[tuple[int, ...], int, int]]:
     """``(possible kinds, start, end)`` of spans outside the base ones."""
     out = []
-    if " dot " in text or "[at]" in text or "(at)" in text:
+    if " at " in text or "at]" in text or "at)" in text:
         out += [((0,), *m.span()) for m in _SPELLED.finditer(text)]
     if _DIGIT.search(text):
         for m in _NUMBER.finditer(text):

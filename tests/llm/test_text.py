@@ -220,3 +220,8 @@ def test_containment(spark):
     df = spark.createDataFrame([(small, large)], "a array<bigint>, b array<bigint>")
     c, r = df.select(sketches.containment(F.col("a"), F.col("b"), 512), sketches.resemblance(F.col("a"), F.col("b"), 512)).first()
     assert c > 0.9 and 0.05 < r < 0.2
+
+
+@pytest.mark.parametrize("span", ["jane.doe at example.com", "jane at example[dot]com", "jane at example (dot) com", "jane[at]example.com", "jane (at) example dot com"])
+def test_every_spelling_of_an_address_is_a_loose_span(span):
+    assert pii.loose_spans(f"Write to {span}", []) == [((0,), 9, 9 + len(span))]
