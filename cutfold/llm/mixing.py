@@ -3,14 +3,21 @@
 Every row gets ``target / source_size`` expected copies. Whole copies are certain;
 the fractions of a source's rows are rounded together: two rows meet, one hands
 mass (in words) to the other at random until one of them is at 0 or at a whole
-copy, and the other carries on. Each meeting keeps the expected mass, so the words
-taken from a source differ from its target by less than one document.
+copy, and the other carries on. Each meeting keeps the sum of their mass, and a last
+draw decides the one row that is left, so the words taken from a source differ from
+its target by less than that row's words.
 
-The meetings form a reduction tree: rows fall into blocks of about ``block`` by a
+Rows that repeat source, id and text are one item of the rounding, with their
+copies in one sum: n of them get ``floor(n * part)`` further copies for certain, and
+only the rest of that sum meets others. The first of them, in row order, take the
+copies. Their ranks come from counts per input partition, so no group of repeats is
+gathered at once.
+
+The meetings form a reduction tree: items fall into blocks of about ``block`` by a
 hash, meet from the largest to the smallest (so that what stays undecided is
-small), a block leaves one undecided row, and the leftovers form the next level's
+small), a block leaves one undecided item, and the leftovers form the next level's
 blocks until one per source is left, which a last draw decides. Everything is
-DataFrame expressions; draws are hashes, so reruns agree.
+DataFrame expressions; draws are hashes of ids and texts, so reruns agree.
 
 Defined cases: a NULL text has no words and is never taken; NULL source is a source
 of its own, ranked last; NULL ids hash as such; a source without words has target 0.
@@ -85,15 +92,33 @@ def _block(level: int, blocks: Column) -> Column:
     return F.pmod(F.xxhash64(F.lit(SEED + 1), F.lit(level), "id", "h"), F.greatest(blocks, F.lit(1)))
 
 
+def _items(units: DataFrame) -> DataFrame:
+    """``units(rid, id, h, source, size)`` as chunks of equal rows: ``source, id, h, size,
+    rids, before, n``, one row per input partition that holds some of them; ``before``
+    counts those of earlier partitions and ``n`` all."""
+    same = ["source", "id", "h"]
+    chunk = F.shiftright("rid", 33).alias("chunk")
+    parts = units.groupBy(*same, chunk).agg(F.first("size").alias("size"), F.sort_array(F.collect_list("rid")).alias("rids"))
+    parts = parts.withColumn("here", F.size("rids").cast("long"))
+    known = Window.partitionBy(*same)
+    upto = known.orderBy("chunk").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return parts.withColumn("before", F.sum("here").over(upto) - F.col("here")).withColumn("n", F.sum("here").over(known)).drop("chunk", "here")
+
+
 def mix_copies(units: DataFrame, weights: tuple = WEIGHTS, cap: float = CAP, block: int = BLOCK) -> DataFrame:
-    """``units(id, h, source, size)`` -> those columns and ``source_size, target,
-    copies``. ``id`` and ``h`` (an id and a text hash) name a row in every draw."""
+    """``units(rid, id, h, source, size)`` -> those columns and ``source_size, target,
+    copies``. ``id`` and ``h`` (an id and a text hash) name a row in every draw, ``rid``
+    (from ``monotonically_increasing_id``) tells rows apart."""
     goals = saved(source_targets(units, weights, cap), "mix-targets")
     share = F.when(F.col("source_size") > 0, F.least(F.lit(float(cap)), F.col("target") / F.col("source_size"))).otherwise(0.0)
     goals = goals.withColumn("share", share).withColumn("whole", F.floor("share")).withColumn("part", F.col("share") - F.col("whole"))
     most = goals.agg(F.max("rows")).first()[0] or 0
-    same = units["source"].eqNullSafe(goals["source"])
-    items = units.where("size > 0").join(goals.where(F.col("part") > _EPS), same).select(units["source"], "id", "h", F.col("size").cast("double").alias("w"), (F.col("size") * F.col("part")).alias("m"), F.ceil(F.col("rows") / block).alias("blocks"))
+    chunks = saved(_items(units), "mix-items")
+    own = goals.select(F.col("source").alias("gsource"), "source_size", "target", "rows", "whole", "part")
+    told = chunks.join(own, chunks["source"].eqNullSafe(F.col("gsource"))).drop("gsource")
+    told = told.withColumn("sure", F.floor(F.col("n") * F.col("part") + _EPS)).withColumn("rest", F.greatest(F.col("n") * F.col("part") - F.col("sure"), F.lit(0.0)))
+    items = told.where((F.col("size") > 0) & (F.col("before") == 0) & (F.col("rest") > _EPS))
+    items = items.select("source", "id", "h", F.col("size").cast("double").alias("w"), (F.col("size") * F.col("rest")).alias("m"), F.ceil(F.col("rows") / block).alias("blocks"))
     items = items.withColumn("block", _block(0, F.col("blocks")))
     taken, level, widest = None, 0, ceil(most / block)
     while True:
@@ -112,18 +137,18 @@ def mix_copies(units: DataFrame, weights: tuple = WEIGHTS, cap: float = CAP, blo
         widest = ceil(widest / block)
     u = F.shiftrightunsigned(F.xxhash64(F.lit(SEED + 2), "id", "h"), 11) / F.lit(9007199254740992.0)
     last = carried.select("source", F.struct("id", "h", "w", F.when(u * F.col("w") < F.col("m"), F.col("w")).otherwise(0.0).alias("m")).alias("x"))
-    chosen = taken.union(last).where(F.col("x.m") > F.col("x.w") / 2).groupBy("source", "x.id", "x.h").agg(F.count(F.lit(1)).alias("extra"), F.max("x.w").alias("w"))
-    chosen = chosen.select(F.col("source").alias("csource"), F.col("id").alias("cid"), F.col("h").alias("ch"), "extra")
-    out = units.join(goals.select(F.col("source").alias("gsource"), "source_size", "target", "whole"), F.col("source").eqNullSafe(F.col("gsource"))).drop("gsource")
+    chosen = taken.union(last).where(F.col("x.m") > F.col("x.w") / 2)
+    chosen = chosen.select(F.col("source").alias("csource"), F.col("x.id").alias("cid"), F.col("x.h").alias("ch"), F.lit(1).alias("more"))
     match = F.col("source").eqNullSafe(F.col("csource")) & F.col("id").eqNullSafe(F.col("cid")) & (F.col("h") == F.col("ch"))
-    out = out.join(chosen, match, "left").drop("csource", "cid", "ch")
-    extra = F.least(F.coalesce("extra", F.lit(0)), F.lit(1))
-    return out.withColumn("copies", F.when(F.col("size") > 0, F.col("whole") + extra).otherwise(0).cast("long")).drop("extra", "whole")
+    out = told.join(chosen, match, "left").withColumn("extra", F.col("sure") + F.coalesce("more", F.lit(0)))
+    out = out.select("id", "h", "source", "size", "source_size", "target", "whole", "extra", "before", F.posexplode("rids").alias("at", "rid"))
+    got = F.col("whole") + F.when(F.col("before") + F.col("at") < F.col("extra"), 1).otherwise(0)
+    return out.select("rid", "id", "h", "source", "size", "source_size", "target", F.when(F.col("size") > 0, got).otherwise(0).cast("long").alias("copies"))
 
 
-def _units(docs: DataFrame, *more: Column) -> DataFrame:
+def _units(docs: DataFrame, rid: Column) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(F.col("doc_id").cast("long").alias("id"), F.xxhash64(text).alias("h"), F.col("source").cast("string").alias("source"), F.regexp_count(text, F.lit(WORD)).cast("long").alias("size"), *more)
+    return docs.select(rid.alias("rid"), F.col("doc_id").cast("long").alias("id"), F.xxhash64(text).alias("h"), F.col("source").cast("string").alias("source"), F.regexp_count(text, F.lit(WORD)).cast("long").alias("size"))
 
 
 def mix_documents(docs: DataFrame, weights: tuple = WEIGHTS, cap: float = CAP) -> DataFrame:
@@ -135,6 +160,6 @@ def mix_documents(docs: DataFrame, weights: tuple = WEIGHTS, cap: float = CAP) -
 
 
 def op1_mix_sources(spark, sf_dir):
-    units = saved(_units(spark.read.parquet(f"{sf_dir}/documents.parquet")), "mix-units")
+    units = saved(_units(spark.read.parquet(f"{sf_dir}/documents.parquet"), F.monotonically_increasing_id()), "mix-units")
     mixed = mix_copies(units)
     return mixed.select(F.col("id").alias("doc_id"), "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))

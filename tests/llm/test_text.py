@@ -94,7 +94,8 @@ def test_double_array_holds_its_keys():
 
 def test_mix_targets(spark):
     rows = [(i, "w " * 10, f"s{i % 5}", ) for i in range(500)]
-    units = spark.createDataFrame([(i, i, s, 10) for i, _, s in rows] + [(900, 1, None, 0), (901, 1, None, 40)], "id long, h long, source string, size long")
+    units = [(i, i, s, 10) for i, _, s in rows] + [(900, 1, None, 0), (901, 1, None, 40)]
+    units = spark.createDataFrame([(i, *u) for i, u in enumerate(units)], "rid long, id long, h long, source string, size long")
     goals = {r.source: r for r in mixing.source_targets(units).collect()}
     weight = {"s0": 5, "s1": 2, "s2": 1, "s3": 5, "s4": 2, None: 1}
     size = {s: goals[s].source_size for s in goals}
@@ -121,8 +122,8 @@ def test_mix_targets(spark):
 
 def test_mix_is_unbiased(spark):
     """Over many sources of equal make-up each row is taken as often as it should."""
-    rows = [(i, i * 31, f"s{i // 10:03d}", 5 + 7 * (i % 10)) for i in range(3000)]
-    out = mixing.mix_copies(spark.createDataFrame(rows, "id long, h long, source string, size long"), weights=(1, 2))
+    rows = [(i, i, i * 31, f"s{i // 10:03d}", 5 + 7 * (i % 10)) for i in range(3000)]
+    out = mixing.mix_copies(spark.createDataFrame(rows, "rid long, id long, h long, source string, size long"), weights=(1, 2))
     r = out.withColumn("p", F.col("target") / F.col("source_size")).groupBy("size").agg(F.avg(F.col("copies") - F.col("p")).alias("d")).collect()
     assert all(abs(x.d) < 0.12 for x in r)
 
@@ -134,6 +135,28 @@ def test_mix_edges(docs, none, rows):
     assert out.where("text is null or doc_id in (4, 5)").count() == 0
 
 
+@pytest.mark.parametrize("repeats", [10, 3])
+def test_mix_of_repeated_rows(spark, repeats):
+    """Every row several times, over several partitions: the sources still meet their
+    targets within one document, and copies of a row differ by one at most."""
+    rows = [(i, "w " * (1 + i * 7 % 90), "abc"[i % 3]) for i in range(400)] * repeats
+    rows += [(9000, "same words in all of these rows", "c")] * 700 + [(None, "no id", None)] * 40
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(5)
+    copies = mixing.mix_copies(mixing._units(df, F.monotonically_increasing_id())).collect()
+    assert len(copies) == len(rows) and len({r.rid for r in copies}) == len(rows)
+    for s in ("a", "b", "c", None):
+        mine = [r for r in copies if r.source == s]
+        assert abs(sum(r.size * r.copies for r in mine) - mine[0].target) < max(r.size for r in mine)
+    for same in {(r.id, r.h) for r in copies}:
+        got = {r.copies for r in copies if (r.id, r.h) == same}
+        assert max(got) - min(got) <= 1 and max(got) <= 3
+    again = mixing.mix_copies(mixing._units(df.repartition(2), F.monotonically_increasing_id())).groupBy("id", "h").agg(F.sum("copies")).collect()
+    total = {}
+    for r in copies:
+        total[r.id, r.h] = total.get((r.id, r.h), 0) + r.copies
+    assert {(r[0], r[1]): r[2] for r in again} == total
+
+
 def slow_spans(t):
     out = [("email", *x.span()) for x in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
     out += [("ip", *x.span()) for x in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(p) <= 255 for p in x.group().split("."))]
