@@ -18,10 +18,14 @@ row: ``core`` (the words that any window of this symbol must hold) and ``ctx``
 * other ctx keep one row, of the smallest document, whose windows are compared
   one by one by a 128-bit hash; its other documents lose all those windows.
 
-Hot cores are pre-aggregated before shuffles and joined by splittable joins.
+Equality is decided by 128 bits throughout: core and ctx are independent 64-bit hashes
+of word ranges, and windows that are compared one by one have both.
 
-Defined cases: NULL and short texts have no window; rows repeating an id are not
-smaller than each other; NULL ids rank last.
+Rows are told apart by a saved row number. Hot cores are pre-aggregated before shuffles
+and joined by splittable joins.
+
+Defined cases: NULL and short texts have no window; rows repeating an id, also rows
+without one, are not smaller than each other; NULL ids rank last.
 """
 
 from __future__ import annotations
@@ -37,13 +41,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cutfold.functions.storage import drop_saved, saved
-from cutfold.llm._common import LAST, map_arrow, slices, with_key
+from cutfold.llm._common import LAST, map_arrow, order_id, slices
 from cutfold.llm.bloom import BITS, held, twice_filter
 
 WINDOW, CAPS = 50, (2, 3)
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD1342543DE82EF95)
-_T_BITS = 26
 
 
 def mix(x: np.ndarray, salt: int) -> np.ndarray:
@@ -144,19 +147,22 @@ def _anchors(texts: list[str], window: int, caps: tuple):
     h = Hasher(words)
     core = h.of(0, p - inside, p + inside + max(caps) - 1)
     with np.errstate(over="ignore"):
-        ctx = h.of(1, s1, s2 + window) ^ mix(((p - s1) * 4096 + (s2 - s1)).astype(np.uint64), 7)
+        ctx = h.of(1, s1, s2 + window) ^ mix(((p - s1) * 2**31 + (s2 - s1)).astype(np.uint64), 7)
     d = doc[s1]
     return d, core, ctx, s1 - base[d], s2 - base[d]
 
 
+_FOUND = ["core", "ctx", "rid", "_d", "s", "n"]
+_FOUND_DDL = ", ".join(f"{c} long" for c in _FOUND)
+
+
 def _anchor_batch(window: int, caps: tuple):
     def fn(batch):
-        d, t, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_pylist()
+        rid, d, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_pylist()
         for lo, hi in slices(texts):
             i, core, ctx, s1, s2 = _anchors(texts[lo:hi], window, caps)
-            i = i + lo
-            where = ((t[i] & (2**_T_BITS - 1)) << 37) | ((s2 - s1) << 31) | s1
-            yield pa.RecordBatch.from_arrays([pa.array(core.view(np.int64)), pa.array(ctx.view(np.int64)), pa.array(d[i]), pa.array(where)], ["core", "ctx", "_d", "pos"])
+            cols = [core.view(np.int64), ctx.view(np.int64), rid[i + lo], d[i + lo], s1, s2 - s1]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], _FOUND)
 
     return fn
 
@@ -174,19 +180,19 @@ def _suspects(shared, bits: int):
 
 def _pack(batch):
     z = zstandard.ZstdCompressor(level=3)
-    packed = [z.compress(x.encode()) for x in batch.column(3).to_pylist()]
-    return pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(packed, pa.binary())], ["_d", "_t", "doc_id", "z"])
+    packed = [z.compress(x.encode()) for x in batch.column(2).to_pylist()]
+    return pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(packed, pa.binary())], ["rid", "doc_id", "z"])
 
 
 def _window_batch(window: int):
     def fn(batch):
         z = zstandard.ZstdDecompressor()
-        for d, t, packed, asks in zip(*(c.to_pylist() for c in batch.columns)):
+        for rid, d, packed, asks in zip(*(c.to_pylist() for c in batch.columns)):
             words = word_hashes(z.decompress(packed).split())
             h = Hasher(words)
-            a = np.unique(np.concatenate([np.arange(s, s + n + 1) for s, n in ((x & (2**31 - 1), x >> 31 & 63) for x in asks)]))
-            cols = [h.of(0, a, a + window).view(np.int64), h.of(1, a, a + window).view(np.int64), np.full(len(a), d), np.full(len(a), t), a]
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["h1", "h2", "_d", "_t", "s"])
+            a = np.unique(np.concatenate([np.arange(x["s"], x["s"] + x["n"] + 1) for x in asks]))
+            cols = [h.of(0, a, a + window).view(np.int64), h.of(1, a, a + window).view(np.int64), np.full(len(a), rid), np.full(len(a), d), a]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["h1", "h2", "rid", "_d", "s"])
 
     return fn
 
@@ -199,8 +205,7 @@ def _cut(window: int, emit_text: bool):
             words = z.decompress(packed).split()
             if cuts:
                 depth = np.zeros(len(words) + 1, np.int64)
-                at = np.array(cuts, np.int64)
-                s, n = at & (2**31 - 1), at >> 31 & 63
+                s, n = (np.array([x[k] for x in cuts], np.int64) for k in ("s", "n"))
                 np.add.at(depth, s, 1)
                 np.add.at(depth, s + n + window, -1)
                 kept = list(compress(words, np.cumsum(depth[:-1]) == 0))
@@ -222,30 +227,34 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, caps: tuple = CAPS, bi
     if window < 2 * reach(caps) + max(caps):
         raise ValueError("the window is too short for these caps")
     sc = docs.sparkSession.sparkContext
-    keyed = with_key(docs, LAST)
-    found = saved(map_arrow(keyed.select("_d", "_t", "text"), _anchor_batch(window, caps), "core long, ctx long, _d long, pos long"), "passage-anchors")
+    text = F.coalesce(F.col("text"), F.lit("")).alias("text")
+    rows = docs.select(F.monotonically_increasing_id().alias("rid"), order_id(LAST).alias("_d"), F.col("doc_id").cast("long").alias("doc_id"), text)
+    rows = saved(rows, "passage-rows")
+    found = saved(map_arrow(rows.select("rid", "_d", "text"), _anchor_batch(window, caps), _FOUND_DDL), "passage-anchors")
     shared = sc.broadcast(twice_filter(found.select("core"), _core_hashes, bits))
-    suspects = map_arrow(found, _suspects(shared, bits), "core long, ctx long, _d long, pos long")
+    suspects = map_arrow(found, _suspects(shared, bits), _FOUND_DDL)
     cores = suspects.groupBy("core").agg(F.min("_d").alias("low"), F.max("_d").alias("high"), F.min("ctx").alias("c1"), F.max("ctx").alias("c2")).where("low < high")
     # Saved first: a join whose sides are both dealt anew can be split where a core is hot.
     cores = saved(cores.select("core", "low", (F.col("c1") == F.col("c2")).alias("agree")), "passage-cores")
     met = saved(suspects.join(cores, "core"), "passage-met")
-    mixed = met.where("not agree").select("core", "ctx", "_d", "pos")
+    drop_saved(found, cores)
+    mixed = met.where("not agree").select("core", "ctx", "rid", "_d", "s", "n")
     least = saved(mixed.groupBy("core", "ctx").agg(F.min("_d").alias("low")), "passage-least")
-    told = saved(mixed.join(least, ["core", "ctx"]).select("_d", "pos", "low"), "passage-contexts")
-    drop_saved(found)
-    row = F.shiftright("pos", 37).alias("_t")
-    packed = map_arrow(keyed.select("_d", F.col("_t").bitwiseAND(F.lit(2**_T_BITS - 1)).alias("_t"), "doc_id", "text"), _pack, "_d long, _t long, doc_id long, z binary")
-    asks = told.where("_d = low").select("_d", row, F.col("pos").bitwiseAND(F.lit(2**37 - 1)).alias("x")).groupBy("_d", "_t").agg(F.collect_list("x").alias("asks"))
-    windows = map_arrow(packed.join(asks, ["_d", "_t"]).select("_d", "_t", "z", "asks"), _window_batch(window), "h1 long, h2 long, _d long, _t long, s long")
+    told = saved(mixed.join(least, ["core", "ctx"]).select("rid", "_d", "s", "n", "low"), "passage-contexts")
+    drop_saved(least)
+    packed = map_arrow(rows.select("rid", "doc_id", "text"), _pack, "rid long, doc_id long, z binary")
+    place = F.struct("s", "n").alias("x")
+    asks = told.where("_d = low").groupBy("rid", "_d").agg(F.collect_list(place).alias("asks"))
+    windows = map_arrow(packed.join(asks, "rid").select("rid", "_d", "z", "asks"), _window_batch(window), "h1 long, h2 long, rid long, _d long, s long")
     windows = saved(windows, "passage-windows")
     first = windows.groupBy("h1", "h2").agg(F.min("_d").alias("low"), F.max("_d").alias("high")).where("low < high").drop("high")
     first = saved(first, "passage-first")
-    single = windows.join(first, ["h1", "h2"]).where("_d > low").select("_d", "_t", F.col("s").alias("x"))
-    whole = met.where("agree and _d > low").select("_d", "pos").union(told.where("_d > low").select("_d", "pos"))
-    cuts = whole.select("_d", row, F.col("pos").bitwiseAND(F.lit(2**37 - 1)).alias("x")).union(single).groupBy("_d", "_t").agg(F.collect_set("x").alias("cuts"))
+    single = saved(windows.join(first, ["h1", "h2"]).where("_d > low").select("rid", "s", F.lit(0).cast("long").alias("n")), "passage-single")
+    drop_saved(windows, first)
+    whole = met.where("agree and _d > low").select("rid", "s", "n").union(told.where("_d > low").select("rid", "s", "n"))
+    cuts = whole.union(single).groupBy("rid").agg(F.collect_set(place).alias("cuts"))
     last = "text string" if emit_text else "kept_sha256 string"
-    return map_arrow(packed.join(cuts, ["_d", "_t"], "left").select("doc_id", "z", "cuts"), _cut(window, emit_text), f"doc_id long, n_words long, n_removed long, {last}")
+    return map_arrow(packed.join(cuts, "rid", "left").select("doc_id", "z", "cuts"), _cut(window, emit_text), f"doc_id long, n_words long, n_removed long, {last}")
 
 
 def op3_substring_dedup(spark, sf_dir):

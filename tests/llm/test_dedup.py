@@ -105,6 +105,24 @@ def test_substrings_with_few_words(spark, seed):
     assert got == brute_repeats(rows)
 
 
+def test_many_rows_without_an_id_share_a_passage(spark):
+    rng = np.random.default_rng(5)
+    passage = " ".join(f"p{i}" for i in range(55))
+    filler = [f"f{i}" for i in range(5000)]
+    rows = [(None, " ".join([*rng.choice(filler, int(rng.integers(1, 12))), passage, *rng.choice(filler, 3)])) for _ in range(15_000)]
+    rows += [(7, "before " + passage + " after"), (7, passage), (9, passage + " x")]
+    got = sorted(map(tuple, substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()), key=repr)
+    assert got == brute_repeats(rows)
+    assert sum(r[2] == 55 for r in got) == 15_001
+
+
+def test_a_longer_window(spark):
+    words = [f"w{i}" for i in range(400)]
+    rows = [(1, " ".join(words)), (2, "a b " + " ".join(words[30:330]) + " c"), (3, " ".join(words[:140]))]
+    got = sorted(map(tuple, substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), window=150).collect()), key=repr)
+    assert got == brute_repeats(rows, 150)
+
+
 def test_symbols_are_local():
     rng = np.random.default_rng(0)
     reach = substring_dedup.reach()
