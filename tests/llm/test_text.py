@@ -185,6 +185,55 @@ def test_patterns_discover(spark):
     assert got[0] == [(3, 18, 35)]
 
 
+def test_patterns_discover_in_a_planted_corpus(spark):
+    """Identifiers that no base rule takes, in contexts shared with seeds, in a context
+    that only discovered ones share, and decoys in contexts of their own."""
+    rng = random.Random(4)
+    word = lambda: f"w{rng.choice('abcdefgh')}{rng.choice('klmnop')}"
+    noise = lambda n: " ".join(word() for _ in range(n))
+    local = [f"0{rng.randint(20, 99)} {rng.randint(1000, 9999)} {rng.randint(100, 999)}" for _ in range(60)]
+    rows, planted, decoys = [], set(), set()
+
+    def put(before, span, after="", wanted=None):
+        start = noise(6) + before
+        rows.append((len(rows), start + span + after + noise(5)))
+        place = (len(rows) - 1, len(start), len(start) + len(span))
+        if wanted is not None:
+            (planted if wanted else decoys).add(place)
+
+    for i in range(12):
+        put(" you can phone me: ", f"+49 30 {rng.randint(1000000, 9999999)}", " ")
+        put(" mail goes to ", f"user{i}@mail.example.org", " ")
+        put(" from host ", f"10.1.{i}.{rng.randint(0, 255)}", " ")
+    for n in local[:30]:
+        put(" you can phone me: ", n, " ", True)
+    for n in local[:30]:  # the same numbers where no seed ever stands
+        put(" reachable under ", n, " ", True)
+    for n in local[30:45]:  # other numbers there: found through the second context only
+        put(" reachable under ", n, " ", True)
+    for i in range(10):
+        put(" mail goes to ", f"jane{i} at home{i} dot example", " ", True)
+        put(" from host ", f"10[.]2[.]{i}[.]7", " ", True)
+    for n in local[45:]:
+        put(" crates in stock ", n, " ", False)
+    for i in range(20):
+        put(" the gap is ", f"{rng.randint(10**15, 10**16 - 1)}", " ")
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {(r.doc_id, s.start, s.end) for r in pii.find_personal_data(df).collect() for s in r.found}
+    base = {(d, a, b) for d, t in rows for _, a, b in pii.base_spans(t)}
+    new = found - base
+    assert base <= found and not new & decoys
+    assert len(new & planted) / len(new) >= 0.95 and len(new & planted) / len(planted) >= 0.95
+
+
+def test_secrets_by_context(spark):
+    key = lambda i: hashlib.sha1(str(i).encode()).hexdigest()
+    rows = [(i, f'some words token = "{key(i)}" and more') for i in range(8)]
+    rows += [(20, 'some words token = "Zk3x-99Abcd_efgh77" and more'), (21, "an order Zk3x-99Abcd_efgh78 of things"), (22, "words " + key(1)[:32])]
+    got = {r.doc_id: [tuple(x) for x in r.found] for r in pii.find_personal_data(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[0] == [(4, 20, 60)] and got[20] == [(4, 20, 38)] and got[21] == [] and got[22] == [(4, 6, 38)]
+
+
 def test_pii_edges(docs, none, rows):
     out = pii.find_personal_data(docs).collect()
     assert len(out) == len(rows)
@@ -247,4 +296,4 @@ def test_containment(spark):
 
 @pytest.mark.parametrize("span", ["jane.doe at example.com", "jane at example[dot]com", "jane at example (dot) com", "jane[at]example.com", "jane (at) example dot com"])
 def test_every_spelling_of_an_address_is_a_loose_span(span):
-    assert pii.loose_spans(f"Write to {span}", []) == [((0,), 9, 9 + len(span))]
+    assert pii.loose_spans(f"Write to {span}", []) == [((0,), False, 9, 9 + len(span))]
