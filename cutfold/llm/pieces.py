@@ -216,33 +216,57 @@ def viterbi(v: Vocabulary, segments: list[str]) -> tuple[np.ndarray, np.ndarray,
 
 
 class Encoder:
-    """Encodes texts, remembering up to ``limit`` distinct segments."""
+    """Encodes texts, remembering segments of up to ``KEEP`` characters until their ids
+    and keys come to ``limit`` bytes; longer segments are solved anew where they occur."""
 
-    def __init__(self, v: Vocabulary, limit: int = 300_000):
+    KEEP = 48
+
+    def __init__(self, v: Vocabulary, limit: int = 64_000_000):
         self.v, self.limit = v, limit
         self.clear()
 
     def clear(self):
         self.known: dict[str, int] = {}
-        self.ids, self.start, self.length = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.ids, self.start, self.length = np.zeros(1 << 16, np.int32), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self.used = self.held = self.bytes = 0
+
+    def _append(self, segments: list[str]) -> int:
+        """Solve segments and put their ids behind the others; arrays double as needed."""
+        ids, start, length = viterbi(self.v, segments)
+        while self.used + len(ids) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+        while self.held + len(segments) > len(self.start):
+            self.start, self.length = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.length))
+        at = slice(self.held, self.held + len(segments))
+        self.ids[self.used : self.used + len(ids)] = ids
+        self.start[at], self.length[at] = start + self.used, length
+        first, self.used, self.held = self.held, self.used + len(ids), self.held + len(segments)
+        return first
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and the number of ids per text."""
-        if len(self.known) > self.limit:
+        if self.bytes > self.limit:
             self.clear()
         split = [_SEGMENT.findall(" " + t) if t else [] for t in texts]
         known = self.known
         fresh = list(dict.fromkeys(s for ss in split for s in ss if s not in known))
-        if fresh:
-            ids, start, length = viterbi(self.v, fresh)
-            for s in fresh:
-                known[s] = len(known)
-            self.start = np.concatenate([self.start, start + len(self.ids)])
-            self.length = np.concatenate([self.length, length])
-            self.ids = np.concatenate([self.ids, ids])
-        which = np.array([known[s] for ss in split for s in ss], np.int64)
+        short, long = [s for s in fresh if len(s) <= self.KEEP], [s for s in fresh if len(s) > self.KEEP]
+        if short:
+            first = self._append(short)
+            known.update(zip(short, range(first, self.held)))
+            # Per segment a string, an entry and two numbers; per id four bytes.
+            self.bytes += 150 * len(short) + 5 * sum(map(len, short))
+        mark = self.used, self.held
+        own = {}
+        if long:
+            first = self._append(long)
+            own = dict(zip(long, range(first, self.held)))
+        which = np.array([known[s] if s in known else own[s] for ss in split for s in ss], np.int64)
         lens = self.length[which]
         ids = self.ids[ragged(self.start[which], lens)]
+        self.used, self.held = mark
+        if 4 * len(self.ids) > self.limit:
+            self.clear()
         per = np.add.reduceat(np.append(lens, 0), np.concatenate(([0], np.cumsum([len(s) for s in split])[:-1]))) if split else lens
         per = np.where([bool(s) for s in split], per, 0)
         return ids, per.astype(np.int64)
