@@ -3,7 +3,7 @@
 A text's serialisation is its byte length followed by its bytes (whitespace
 removed). Level 0 splits all rows by the first digit (the length and the first
 24 bytes); only groups with two or more rows stay. Later digits are successive
-byte ranges, each eight times longer than the one before up to 2 MB, so a level
+byte ranges, each eight times longer than the one before up to 1 MB, so a level
 reads only its own range of the rows still undecided. A group is finished when
 it is a singleton or its bytes have ended; equality rests on the bytes
 themselves. Digits are grouping keys with map-side combining, so a large group
@@ -52,6 +52,7 @@ def _split(base: DataFrame) -> DataFrame:
     # Names are saved before they are handed out: a join whose sides are both dealt
     # anew can be split where a digit is hot.
     shared = saved(shared, "radix-names")
+    handed = [shared]
     active = saved(digit.join(shared, ["nbytes", "head"]).select("rid", "gid", "nbytes"), "radix")
     done = [active.where(F.col("nbytes") <= HEAD).select("rid", "gid")]
     longest = active.agg(F.max("nbytes")).first()[0] or 0
@@ -69,6 +70,7 @@ def _split(base: DataFrame) -> DataFrame:
         digits = cur.join(bodies.where(F.col("level") == level).select("rid", "digit"), "rid")
         names = digits.groupBy("gid", "digit").agg(F.count(F.lit(1)).alias("n"), F.min("rid").alias("next")).where("n > 1").drop("n")
         names = saved(names, "radix-names")
+        handed.append(names)
         cur = saved(digits.join(names, ["gid", "digit"]).select("rid", F.col("next").alias("gid"), "nbytes"), "radix")
         held.append(cur)
         ended = F.col("nbytes") <= _offset(level + 1)
@@ -78,7 +80,7 @@ def _split(base: DataFrame) -> DataFrame:
     for part in done[1:]:
         out = out.union(part)
     out = saved(out, "radix-groups")
-    drop_saved(bodies, *held)
+    drop_saved(bodies, *held, *handed)
     return out
 
 
