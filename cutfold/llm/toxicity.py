@@ -131,8 +131,11 @@ def train(sets: list[set[str]], y: np.ndarray, share: np.ndarray, terms: int = T
     er, ec, es = (np.array(x) for x in zip(*entries)) if entries else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
     weight = share / share.sum()
     w, v, b, vb = np.zeros(len(names)), np.zeros(len(names)), float(np.log(p / (1 - p))), float(np.log(p / (1 - p)))
-    most = float(np.bincount(row, minlength=len(cols)).max()) if len(row) else 1.0
-    rate = 1.0 / (0.25 * (min(most, 60.0) + 1) * 1.0 + ridge + (8 * swap if pairs else 0))
+    # The largest eigenvalues are at most the mean squared norms of the rows.
+    norm = float(weight @ np.bincount(row, minlength=len(cols))) + 1.0
+    both, own = np.unique(er * len(names) + ec, return_inverse=True) if pairs else (er, er)
+    spread = float((np.bincount(own, es, minlength=len(both)) ** 2).sum()) / pairs if pairs else 0.0
+    rate = 1.0 / (0.25 * norm + ridge + 2 * swap * spread)
     for k in range(steps):
         z = vb + np.bincount(row, v[col], minlength=len(cols))
         g = weight * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y)
