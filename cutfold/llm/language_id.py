@@ -6,7 +6,8 @@ linear support vector machine per family tells families apart; inside a family
 one machine per pair of languages decides by votes of calibrated margins.
 
 The machines are fitted on a bounded sample: at most ``per_language`` rows of a
-language and ``most`` rows in all, picked by a hash of the id, from rows that are
+language, ``most`` rows in all and the ``languages`` most frequent values of lang
+(a dirty column may hold any number), picked by a hash of the id, from rows that are
 not held out; whole texts are used. Prediction reads every whole text.
 
 Defined cases: NULL texts and texts without a letter are ``und`` with score 0, and
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from cutfold.llm._common import held_out, map_arrow, schema_with, slices
 
-DIM, PER_LANGUAGE, MOST = 4096, 500, 2400
+DIM, PER_LANGUAGE, MOST, LANGUAGES = 4096, 500, 2400, 200
 # Families of closely related languages.
 FAMILIES = {
     "germanic": "en de nl af sv da no nb nn is fy lb yi",
@@ -155,16 +156,15 @@ class Hierarchy:
         return out, np.clip(score, 0, 1)
 
 
-def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, most: int = MOST) -> Hierarchy | None:
+def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, most: int = MOST, languages: int = LANGUAGES) -> Hierarchy | None:
     usable = docs.select(F.xxhash64(F.col("doc_id")).alias("h"), "lang", "text", held_out().alias("out")).where("not out and lang is not null and text is not null")
-    counts = {r.lang: r.n for r in usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
+    counts = usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.col("n").desc(), "lang").limit(languages).collect()
     if not counts:
         return None
     each = max(1, min(per_language, most // len(counts)))
-    keep = F.lit(False)
-    for lang, n in counts.items():
-        keep = keep | ((F.col("lang") == lang) & (F.pmod("h", F.lit(2**30)) < int(2**30 * min(1.0, 1.3 * each / n + 20 / n))))
-    sample = usable.where(keep)
+    shares = [(r.lang, int(2**30 * min(1.0, 1.3 * each / r.n + 20 / r.n))) for r in counts]
+    shares = docs.sparkSession.createDataFrame(shares, "lang string, upto long")
+    sample = usable.join(F.broadcast(shares), "lang").where(F.pmod("h", F.lit(2**30)) < F.col("upto"))
 
     def rows(batch):
         h, lang, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()
