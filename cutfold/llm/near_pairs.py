@@ -1,22 +1,21 @@
-"""Near-duplicates by Jaccard similarity of five-word shingles, 0.8 or more.
+"""Candidates by shared minima and their verification, for SimHash near-dedup.
 
-Candidates share one of ``BANDS`` keys of ``PER_BAND`` minima of salted hashes; two
-texts of similarity s miss all of them with probability (1 - s**4)**32, 5e-8 at 0.8.
-Every candidate is verified on its whole shingle sets, so no link is false.
+A one-word edit turns many bits of a 64-bit SimHash, so that search alone misses most
+pairs at similarity 0.8. The rest share one of ``BANDS`` keys of ``PER_BAND`` minima of
+salted hashes; two texts of similarity s miss all of them with probability
+(1 - s**4)**32, 5e-8 at 0.8. Every candidate is verified on its whole shingle sets, so
+no link is false.
 
 Texts with equal shingle sets form one class. The classes of a bucket first meet its
 smallest one. Only buckets that still hold several components go on, and there the
 members of different components meet in full: a bucket of near copies costs as many
 pairs as it has members, and no bucket is cut off.
 
-Defined cases: words and case as in SimHash; fewer words than a shingle form one
-shingle; NULL and word-free texts have no shingle and are equal; NULL ids rank last.
+Defined cases: words and case as in SimHash; NULL and word-free texts have no key.
 """
 
 from __future__ import annotations
 
-import hashlib
-
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -24,23 +23,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cutfold.functions.storage import saved
-from cutfold.llm._common import LAST, map_arrow, order_id
+from cutfold.llm._common import map_arrow
 from cutfold.operators.components import star_components
 
-WORDS, LEAST, BANDS, PER_BAND = 5, 0.8, 32, 4
+BANDS, PER_BAND = 32, 4
 _DRAWS = np.random.default_rng(42).integers(0, 2**64, (2, BANDS * PER_BAND, 1), np.uint64)
 _XOR, _ODD, _MORE = _DRAWS[0], _DRAWS[1] | np.uint64(1), np.uint64(0x9E3779B97F4A7C15)
 
 
-def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
-    """The sorted distinct XXH64 values of a text's word shingles."""
-    ws = (text or "").encode().lower().split()
-    if not ws:
-        return np.empty(0, np.uint64)
-    one = xxhash.xxh64_intdigest
-    return np.unique(np.array([one(b" ".join(ws[i : i + words]), 42) for i in range(max(1, len(ws) - words + 1))], np.uint64))
-
-
 def band_keys(h: np.ndarray) -> list[int]:
     """One signed key per band; none for a text without shingles."""
     if not len(h):
@@ -55,21 +45,13 @@ def band_keys(h: np.ndarray) -> list[int]:
     return [xxhash.xxh64_intdigest(raw[i * step : (i + 1) * step], i) - 2**63 for i in range(BANDS)]
 
 
-def _describe(words: int):
-    def fn(batch):
-        sets = [shingles(t, words) for t in batch.column(2).to_pylist()]
-        names = pa.array([hashlib.md5(h.tobytes()).digest() for h in sets], pa.binary())
-        keys = pa.array([band_keys(h) for h in sets], pa.list_(pa.int64()))
-        return pa.RecordBatch.from_arrays([*batch.columns[:2], names, keys], ["rid", "_d", "cls", "keys"])
-
-    return fn
-
-
 def _similar(words: int, least: float):
+    from cutfold.llm.simhash_dedup import shingle_hashes
+
     def fn(batch):
         keep = []
         for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-            x, y = shingles(a, words), shingles(b, words)
+            x, y = (np.unique(shingle_hashes(t or "", words)) for t in (a, b))
             both = len(np.intersect1d(x, y, assume_unique=True))
             keep.append(both >= least * (len(x) + len(y) - both) - 1e-9)
         kept = batch.filter(pa.array(keep, pa.bool_()))
@@ -85,14 +67,15 @@ def _verified(pairs: DataFrame, texts: DataFrame, words: int, least: float) -> D
     return saved(map_arrow(both, _similar(words, least), "u long, v long"), "near-links")
 
 
-def links(classes: DataFrame, texts: DataFrame, words: int = WORDS, least: float = LEAST) -> DataFrame:
+def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame) -> DataFrame:
     """Verified pairs ``(u, v)`` that connect what the candidates connect, from
-    ``classes(rid, keys)`` and ``texts(rid, text)``."""
+    ``classes(rid, keys)`` and ``texts(rid, text)``; ``more(u, v)`` are candidates too."""
     place = ["band", "key"]
     entries = saved(classes.select(F.col("rid").alias("id"), F.posexplode("keys").alias("band", "key")), "near-entries")
     shared = saved(entries.groupBy(place).agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("low")).where("n > 1").select(*place, "low"), "near-buckets")
     held = saved(entries.join(shared, place), "near-held")
-    tried = saved(held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v")).distinct(), "near-tried")
+    tried = held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v")).union(more.select("u", "v"))
+    tried = saved(tried.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "near-tried")
     first = _verified(tried, texts, words, least)
     named = held.select("id", *place).join(star_components(first), "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
     named = saved(named, "near-named")
@@ -101,18 +84,5 @@ def links(classes: DataFrame, texts: DataFrame, words: int = WORDS, least: float
     heads = left.select(*place, "c").distinct()
     meet = heads.withColumnRenamed("c", "cu").join(heads.withColumnRenamed("c", "cv"), place).where("cu > cv")
     u, v = left.select(*place, F.col("c").alias("cu"), F.col("id").alias("u")), left.select(*place, F.col("c").alias("cv"), F.col("id").alias("v"))
-    more = meet.join(u, [*place, "cu"]).join(v, [*place, "cv"]).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-    return first.union(_verified(more.join(tried, ["u", "v"], "left_anti"), texts, words, least))
-
-
-def near_dedup(docs: DataFrame, words: int = WORDS, least: float = LEAST) -> DataFrame:
-    """The input rows and columns, one row (the smallest id) of each group."""
-    rows = saved(docs.select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row")), "near-rows")
-    texts = rows.select("rid", F.col("row.text").alias("text"))
-    src = rows.select("rid", "row.doc_id", "row.text").select("rid", order_id(LAST).alias("_d"), "text")
-    sets = saved(map_arrow(src, _describe(words), "rid long, _d long, cls binary, keys array<long>"), "near-sets")
-    classes = saved(sets.groupBy("cls").agg(F.min(F.struct("_d", "rid", "keys")).alias("k")).select("k.*"), "near-classes")
-    comps = star_components(links(classes, texts, words, least)).select(F.col("id").alias("rid"), "component")
-    named = classes.join(comps, "rid", "left").select("_d", "rid", F.coalesce("component", "rid").alias("root"))
-    kept = named.groupBy("root").agg(F.min(F.struct("_d", "rid")).alias("k")).select("k.rid")
-    return rows.join(kept, "rid", "left_semi").select("row.*")
+    rest = meet.join(u, [*place, "cu"]).join(v, [*place, "cv"]).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+    return first.union(_verified(rest.join(tried, ["u", "v"], "left_anti"), texts, words, least))

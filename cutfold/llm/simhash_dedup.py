@@ -17,10 +17,13 @@ within the radius. Components come from the shared star contraction.
 Defined cases: NULL and word-free texts have fingerprint zero and link like any
 other; fewer words than a shingle form one shingle; NULL ids rank last, and neither
 they nor repeated ids join groups whose fingerprints are apart.
+
+:func:`near_dedup` is the pipeline's stage: five-word shingles and similarity 0.8.
 """
 
 from __future__ import annotations
 
+import hashlib
 from math import comb
 
 import numpy as np
@@ -30,28 +33,36 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cutfold.functions.storage import saved
+from cutfold.llm import near_pairs
 from cutfold.llm._common import LAST, map_arrow, order_id
 from cutfold.operators.components import star_components
 
 WORDS, RADIUS, PARTS, BUCKET = 3, 2, 3, 256
 
 
-def simhash(text: str, words: int = WORDS) -> int:
-    """The unsigned 64-bit fingerprint of a text."""
+def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
+    """XXH64 (seed 42) of a text's word shingles, in order and with repeats; fewer words
+    than a shingle are one shingle, no words none."""
     ws = text.encode().lower().split()
-    if not ws:
-        return 0
-    joined = b" ".join(ws)
+    joined, one = b" ".join(ws), xxhash.xxh64_intdigest
     if len(ws) <= words:
-        return xxhash.xxh64_intdigest(joined, 42)
+        return np.array([one(joined, 42)] if ws else [], "<u8")
     ends = np.cumsum([len(w) + 1 for w in ws]) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))
-    one = xxhash.xxh64_intdigest
-    h = np.array([one(joined[a:b], 42) for a, b in zip(starts[: len(ws) - words + 1].tolist(), ends[words - 1 :].tolist())], "<u8")
+    return np.array([one(joined[a:b], 42) for a, b in zip(starts[: len(ws) - words + 1].tolist(), ends[words - 1 :].tolist())], "<u8")
+
+
+def majority(h: np.ndarray) -> int:
+    """The unsigned number of the bits that more than half of the hashes set."""
     ones = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(ones * 2 > len(h), bitorder="little").view("<u8")[0])
 
 
+def simhash(text: str, words: int = WORDS) -> int:
+    """The unsigned 64-bit fingerprint of a text."""
+    return majority(shingle_hashes(text, words))
+
+
 def _fingerprint_batch(words: int):
     def fn(batch):
         fp = np.array([simhash(t, words) for t in batch.column(3).to_pylist()], np.uint64).view(np.int64)
@@ -208,11 +219,37 @@ def near_groups(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     return fps.join(named.select("fp", "root").join(least, "root"), "fp")
 
 
-def near_dedup(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> DataFrame:
-    """The input rows and columns, one row (the smallest id) of each group."""
-    rows = saved(docs.select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row")), "simhash-rows")
-    groups = near_groups(fingerprints(rows.select("rid", "row.doc_id", "row.text"), words, F.col("rid")), radius)
-    kept = groups.groupBy("root").agg(F.min(F.struct("_d", "rid")).alias("k")).select("k.rid")
+def _describe(words: int):
+    def fn(batch):
+        lists = [shingle_hashes(t or "", words) for t in batch.column(2).to_pylist()]
+        sets = [np.unique(h) for h in lists]
+        names = pa.array([hashlib.md5(h.tobytes()).digest() for h in sets], pa.binary())
+        fps = pa.array(np.array([majority(h) for h in lists], np.uint64).view(np.int64), pa.int64())
+        keys = pa.array([near_pairs.band_keys(h) for h in sets], pa.list_(pa.int64()))
+        return pa.RecordBatch.from_arrays([*batch.columns[:2], names, fps, keys], ["rid", "_d", "cls", "fp", "keys"])
+
+    return fn
+
+
+def near_dedup(docs: DataFrame, words: int = 5, least: float = 0.8, radius: int = 3, parts: int = 4) -> DataFrame:
+    """The input rows and columns, one row (the smallest id) of each group linked by
+    Jaccard similarity ``least`` of ``words``-word shingles.
+
+    Candidates are the pairs within ``radius`` bits by the pigeonhole search, and, as the
+    bits of a fingerprint move further than any radius that still narrows the search,
+    the pairs that share minima (:mod:`near_pairs`). Each is verified on its whole sets."""
+    rows = saved(docs.select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row")), "near-rows")
+    texts = rows.select("rid", F.col("row.text").alias("text"))
+    src = rows.select("rid", "row.doc_id", "row.text").select("rid", order_id(LAST).alias("_d"), "text")
+    sets = saved(map_arrow(src, _describe(words), "rid long, _d long, cls binary, fp long, keys array<long>"), "near-sets")
+    classes = saved(sets.groupBy("cls").agg(F.min(F.struct("_d", "rid", "fp", "keys")).alias("k")).select("k.*"), "near-classes")
+    heads = saved(classes.groupBy("fp").agg(F.min("rid").alias("head")), "near-heads")
+    met = links(heads.select("fp", F.col("head").alias("d")), radius, parts)
+    same = classes.join(heads, "fp").where("rid <> head").select(F.col("rid").alias("u"), F.col("head").alias("v"))
+    found = near_pairs.links(classes, texts, words, least, met.union(same))
+    comps = star_components(found).select(F.col("id").alias("rid"), "component")
+    named = classes.join(comps, "rid", "left").select("_d", "rid", F.coalesce("component", "rid").alias("root"))
+    kept = named.groupBy("root").agg(F.min(F.struct("_d", "rid")).alias("k")).select("k.rid")
     return rows.join(kept, "rid", "left_semi").select("row.*")
 
 
