@@ -9,8 +9,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cutfold.functions.storage import drop_saved, saved
-from cutfold.llm import exact_dedup, language_id, mixing, near_pairs, pieces
+from cutfold.functions.storage import drop_saved, saved, scope
+from cutfold.llm import exact_dedup, language_id, mixing, pieces, simhash_dedup
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,7 +25,7 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group linked by similarity 0.8 of five-word shingles stays."""
-    return near_pairs.near_dedup(docs)
+    return simhash_dedup.near_dedup(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +41,7 @@ def piece_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("language_id", language_stage),
     ("exact_dedup", exact_stage),
-    ("near_dedup", near_stage),
+    ("simhash_near_dedup", near_stage),
     ("mix_sources", mixing_stage),
     ("sentence_pieces", piece_stage),
 ]
@@ -53,7 +53,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages in order over ``documents``."""
     docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        out = saved(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        with scope() as tables:
+            out = tables.keep(saved(stage(spark, docs, sf_dir), f"pipeline-{name}"))
         if before is not None:
             drop_saved(before)
         docs = before = out
