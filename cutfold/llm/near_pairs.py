@@ -6,10 +6,15 @@ salted hashes; two texts of similarity s miss all of them with probability
 (1 - s**4)**32, 5e-8 at 0.8. Every candidate is verified on its whole shingle sets, so
 no link is false.
 
-Texts with equal shingle sets form one class. The classes of a bucket first meet its
-smallest one. Only buckets that still hold several components go on, and there the
-members of different components meet in full: a bucket of near copies costs as many
-pairs as it has members, and no bucket is cut off.
+Texts with equal shingle sets form one class. A bucket of a band is worked off in
+rounds: all its members meet one of them, unless they are linked to it already or too
+different in size; then that one is done there. The first is drawn anew per band, later
+ones are those with the most links so far, which a family of near copies has gathered
+around. So a round costs no more pairs than buckets have members. What is still in
+different components after ``rounds`` rounds is peeled: a text needs ``least`` of its
+shingles in other open texts, and a pair as many such shingles on either side as its
+similarity asks for. Only pairs that this bound leaves meet in full, and no bucket is
+cut off.
 
 Defined cases: words and case as in SimHash; NULL and word-free texts have no key.
 """
@@ -22,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutfold.functions.storage import saved
+from cutfold.functions.storage import drop_saved, saved
 from cutfold.llm._common import map_arrow
 from cutfold.operators.components import star_components
 
@@ -67,22 +72,80 @@ def _verified(pairs: DataFrame, texts: DataFrame, words: int, least: float) -> D
     return saved(map_arrow(both, _similar(words, least), "u long, v long"), "near-links")
 
 
-def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame) -> DataFrame:
+def _fits(least: float):
+    """Sets whose sizes are further apart cannot be that similar."""
+    return (F.col("n") >= F.col("m") * least - 1e-6) & (F.col("m") >= F.col("n") * least - 1e-6)
+
+
+def _tokens(words: int):
+    from cutfold.llm.simhash_dedup import shingle_hashes
+
+    def fn(batch):
+        for rid, text in zip(*(c.to_pylist() for c in batch.columns)):
+            h = np.unique(shingle_hashes(text or "", words)).view(np.int64)
+            for at in range(0, len(h), 65_536):
+                part = h[at : at + 65_536]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), rid)), pa.array(part)], ["id", "h"])
+
+    return fn
+
+
+def _peeled(left: DataFrame, texts: DataFrame, words: int, least: float, times: int = 2) -> DataFrame:
+    """``left`` without members that cannot have a partner in it, and ``s``, the number
+    of a member's shingles that other open texts have."""
+    ids = left.select(F.col("id").alias("rid")).distinct()
+    tokens = saved(map_arrow(texts.join(ids, "rid", "left_semi").select("rid", "text"), _tokens(words), "id long, h long"), "near-tokens")
+    sizes = left.select("id", "n").distinct()
+    held, kept = tokens, sizes
+    for _ in range(times):
+        often = saved(held.groupBy("h").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("h"), "near-often")
+        kept = held.join(often, "h", "left_semi").groupBy("id").agg(F.count(F.lit(1)).alias("s")).join(sizes, "id")
+        kept = saved(kept.where(F.col("s") >= F.col("n") * least - 1e-6).select("id", "s"), "near-kept")
+        held = tokens.join(kept.select("id"), "id", "left_semi")
+    return left.join(kept, "id")
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+
+
+def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame, rounds: int = 4) -> DataFrame:
     """Verified pairs ``(u, v)`` that connect what the candidates connect, from
-    ``classes(rid, keys)`` and ``texts(rid, text)``; ``more(u, v)`` are candidates too."""
+    ``classes(rid, n, keys)``, n the number of shingles, and ``texts(rid, text)``;
+    ``more(u, v)`` are candidates too."""
     place = ["band", "key"]
-    entries = saved(classes.select(F.col("rid").alias("id"), F.posexplode("keys").alias("band", "key")), "near-entries")
-    shared = saved(entries.groupBy(place).agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("low")).where("n > 1").select(*place, "low"), "near-buckets")
-    held = saved(entries.join(shared, place), "near-held")
-    tried = held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v")).union(more.select("u", "v"))
-    tried = saved(tried.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "near-tried")
-    first = _verified(tried, texts, words, least)
-    named = held.select("id", *place).join(star_components(first), "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
-    named = saved(named, "near-named")
-    mixed = named.groupBy(place).agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select(*place)
-    left = saved(named.join(mixed, place), "near-open")
+    entries = saved(classes.select(F.col("rid").alias("id"), "n", F.posexplode("keys").alias("band", "key")), "near-entries")
+    shared = saved(entries.groupBy(place).agg(F.count(F.lit(1)).alias("k")).where("k > 1").select(*place), "near-buckets")
+    left = saved(entries.join(shared, place).withColumn("c", F.col("id")), "near-open")
+    drop_saved(entries, shared)
+    found = _verified(saved(_ordered(more), "near-more"), texts, words, least)
+    for r in range(rounds):
+        if r:
+            degree = found.select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("deg"))
+            ranked = left.join(degree, "id", "left").withColumn("rank", -F.coalesce("deg", F.lit(0)))
+        else:
+            ranked = left.withColumn("rank", F.lit(0))
+        draw = F.min(F.struct("rank", F.xxhash64(F.lit(r), "band", "id").alias("h"), F.col("id").alias("v"), F.col("n").alias("m"), F.col("c").alias("cv"))).alias("x")
+        drawn = saved(ranked.groupBy(place).agg(draw).select(*place, "x.v", "x.m", "x.cv"), "near-drawn")
+        met = left.join(drawn, place).where((F.col("c") != F.col("cv")) & _fits(least))
+        tried = saved(_ordered(met.select(F.col("id").alias("u"), "v")), "near-tried")
+        found = found.union(_verified(tried, texts, words, least))
+        comps = saved(star_components(found), "near-components")
+        rest = left.join(drawn.select(*place, F.col("v").alias("id")), [*place, "id"], "left_anti")
+        named = rest.drop("c").join(comps, "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
+        named = saved(named, "near-named")
+        mixed = saved(named.groupBy(place).agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select(*place), "near-mixed")
+        nxt = saved(named.join(mixed, place), "near-open")
+        drop_saved(left, drawn, tried, comps, named, mixed)
+        left = nxt
+        if left.isEmpty():
+            return found
+    left = saved(_peeled(left, texts, words, least).join(classes.select(F.col("rid").alias("id"), "keys"), "id"), "near-open")
     heads = left.select(*place, "c").distinct()
     meet = heads.withColumnRenamed("c", "cu").join(heads.withColumnRenamed("c", "cv"), place).where("cu > cv")
-    u, v = left.select(*place, F.col("c").alias("cu"), F.col("id").alias("u")), left.select(*place, F.col("c").alias("cv"), F.col("id").alias("v"))
-    rest = meet.join(u, [*place, "cu"]).join(v, [*place, "cv"]).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-    return first.union(_verified(rest.join(tried, ["u", "v"], "left_anti"), texts, words, least))
+    side = lambda c, *names: left.select(*place, F.col("c").alias(c), *(F.col(x).alias(y) for x, y in zip(("id", "n", "s", "keys"), names)))
+    enough = F.least("s", "t") >= (F.col("n") + F.col("m")) * (least / (1 + least)) - 1e-6
+    # A pair meets in the first band that it shares.
+    earlier = F.exists(F.zip_with(F.slice("ku", F.lit(1), F.col("band")), F.slice("kv", F.lit(1), F.col("band")), lambda x, y: x == y), lambda same: same)
+    rest = meet.join(side("cu", "u", "n", "s", "ku"), [*place, "cu"]).join(side("cv", "v", "m", "t", "kv"), [*place, "cv"]).where(_fits(least) & enough & ~earlier)
+    return found.union(_verified(saved(_ordered(rest), "near-rest"), texts, words, least))
