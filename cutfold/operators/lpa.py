@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from cutfold.functions import hashing
-from cutfold.functions.storage import drop_saved, saved
+from cutfold.functions.storage import drop_saved, saved, scope
 from cutfold.operators.graph import WeightedGraph
 
 
@@ -72,13 +72,47 @@ def choose(strengths: DataFrame, labels: DataFrame, cap: int | None, salt: int,
     return best.where(leave).select(F.col("src").alias("id"), "c", "source", (-F.col("go.neg")).alias("target"), F.col("go.strength").alias("strength"), (F.coalesce("inside", F.lit(0)) - F.col("go.strength")).alias("loss"), F.col("go.tie").alias("tie"))
 
 
+_TIE_BINS = 21  # a bin holds 2**21 of the 2**31 tie values
+#: Up to so many nodes, proposals are ranked in windows, which admit the same as sums do.
+RANKED = 200_000
+
+
+def _within(rows: DataFrame, group: list[str], step: str, limit: str, before: bool) -> tuple[DataFrame, DataFrame]:
+    """Per group sum the weights of each ``step`` in ascending order: the rows of steps
+    that fit as a whole, and those of the step in which ``limit`` falls, with what is
+    left of it. Only the sums are ordered, and they are few, so they are broadcast."""
+    sums = rows.groupBy(*group, step).agg(F.sum("c").alias("want"), F.first(limit).alias("most"))
+    upto = Window.partitionBy(*group).orderBy(step).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    sums = sums.withColumn("need", F.sum("want").over(upto)).where(F.col("need") - F.col("want") < F.col("most") if before else F.col("need") - F.col("want") <= F.col("most"))
+    sums = sums.select(*group, step, (F.col("need") <= F.col("most")).alias("all"), (F.col("most") - F.col("need") + F.col("want")).alias("left"))
+    known = rows.drop(limit).join(sums, [*group, step])
+    return known.where("all"), known.where("not all").drop("all").withColumnRenamed("left", limit)
+
+
+def prefix(rows: DataFrame, group: str, order: str, limit: str, before: bool = False) -> DataFrame:
+    """The rows ``(id, c, tie, ...)`` of each group that come first by (``order``
+    ascending, tie descending, id) while their running weight stays within ``limit``; or
+    with ``before`` while the weight before them is below it. Whole values of ``order``,
+    then whole bins of ties are taken, and only inside one bin rows are ranked, so a
+    group of any size is never sorted in one task."""
+    cols = [c for c in rows.columns if c != limit]
+    rows = saved(rows, "prefix")
+    whole, cut = _within(rows, [group], order, limit, before)
+    cut = saved(cut.withColumn("_bin", -F.shiftright(F.col("tie").cast("long"), _TIE_BINS)), "prefix-cut")
+    bins, last = _within(cut, [group, order], "_bin", limit, before)
+    run = Window.partitionBy(group, order, "_bin").orderBy(F.col("tie").desc(), "id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    last = last.withColumn("_need", F.sum("c").over(run))
+    last = last.where(F.col("_need") - F.col("c") < F.col(limit) if before else F.col("_need") <= F.col(limit))
+    return whole.select(*cols).union(bins.select(*cols)).union(last.select(*cols))
+
+
 def admit(proposals: DataFrame, sizes: DataFrame, cap: int | None, mode: str = "exact") -> DataFrame:
     """Per target admit proposals, strongest first, while the running weight of all
     asked so far fits the room left.
 
-    ``exact`` ranks every proposal of a target in one window. ``histogram`` first sums
-    the demand per strength, admits whole strengths that fit, and ranks only inside
-    the first one that does not: the form for a few huge targets."""
+    Both modes admit the same. ``exact`` ranks every proposal of a target in one window,
+    the form for many small targets; ``histogram`` (see :func:`prefix`) is the form for a
+    few huge ones."""
     if cap is None:
         return proposals
     room = sizes.select(F.col("cluster").alias("target"), (F.lit(cap) - F.col("size")).alias("room"))
@@ -87,26 +121,16 @@ def admit(proposals: DataFrame, sizes: DataFrame, cap: int | None, mode: str = "
     if mode == "exact":
         run = Window.partitionBy("target").orderBy(*by).rowsBetween(Window.unboundedPreceding, Window.currentRow)
         return asked.withColumn("need", F.sum("c").over(run)).where("need <= room").drop("need", "room")
-    demand = asked.groupBy("target", "strength").agg(F.sum("c").alias("want"), F.first("room").alias("room"))
-    upto = Window.partitionBy("target").orderBy(F.col("strength").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    demand = demand.withColumn("need", F.sum("want").over(upto)).where(F.col("need") - F.col("want") < F.col("room"))
-    demand = demand.select("target", "strength", (F.col("need") <= F.col("room")).alias("all"), (F.col("room") - F.col("need") + F.col("want")).alias("left"))
-    known = proposals.join(demand, ["target", "strength"])
-    run = Window.partitionBy("target").orderBy(F.col("tie").desc(), F.col("id")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    ranked = known.where("not all").withColumn("need", F.sum("c").over(run)).where("need <= left")
-    cols = proposals.columns
-    return known.where("all").select(*cols).union(ranked.select(*cols))
+    asked = asked.withColumn("_weak", -F.col("strength"))
+    return prefix(asked, "target", "_weak", "room").select(*proposals.columns)
 
 
 def advance(labels: DataFrame, moves: DataFrame) -> tuple[DataFrame, int]:
-    """Save the labels after the moves, and count the moves on the way: one job."""
-    to = moves.select("id", F.col("target").alias("_to"))
-    both = labels.join(to, "id", "left")
+    """Save the labels after the moves, and count the moves on the way: one job. Labels
+    are never empty here, so the observation cannot be dropped with an empty plan."""
     seen = Observation()
-    both = both.observe(seen, F.count("_to").alias("moved"))
-    rest = [c for c in labels.columns if c not in ("id", "cluster")]
-    out = saved(both.select("id", F.coalesce("_to", "cluster").alias("cluster"), *rest), "labels")
-    return out, int(seen.get["moved"])
+    both = committed(labels, moves).observe(seen, F.count("_to").alias("moved"))
+    return saved(both.drop("_to"), "labels"), int(seen.get["moved"])
 
 
 def renewed(labels: DataFrame) -> DataFrame:
@@ -122,11 +146,30 @@ def moved_neighbours(arcs: DataFrame, labels: DataFrame) -> DataFrame:
     return arcs.join(gone, "dst", "left_semi").select(F.col("src").alias("id")).distinct()
 
 
-def commit(labels: DataFrame, moves: DataFrame) -> DataFrame:
-    """Labels after the admitted moves."""
+def sweep(arcs: DataFrame, labels: DataFrame, waves: list, cap: int | None, salt: int, mode: str = "exact", over: bool = False, also=None) -> tuple[DataFrame, int]:
+    """One round: per condition of ``waves`` a superstep of the labels that it selects, in
+    one job that writes the labels after it. ``also(who, sizes)`` narrows who may move."""
+    total = 0
+    for wave in waves:
+        who = labels.where(wave)
+        if also is not None:
+            who = also(who, sizes_of(labels))
+        nxt, n = advance(labels, superstep(arcs, labels, who.select("id"), cap, salt, mode, over, over))
+        drop_saved(labels)
+        labels, total = nxt, total + n
+    return labels, total
+
+
+def committed(labels: DataFrame, moves: DataFrame) -> DataFrame:
+    """Labels after the admitted moves, and ``_to``, where a node went or NULL."""
     to = moves.select("id", F.col("target").alias("_to"))
     rest = [c for c in labels.columns if c not in ("id", "cluster")]
-    return labels.join(to, "id", "left").select("id", F.coalesce("_to", "cluster").alias("cluster"), *rest)
+    return labels.join(to, "id", "left").select("id", F.coalesce("_to", "cluster").alias("cluster"), *rest, "_to")
+
+
+def commit(labels: DataFrame, moves: DataFrame) -> DataFrame:
+    """Labels after the admitted moves."""
+    return committed(labels, moves).drop("_to")
 
 
 def superstep(arcs: DataFrame, labels: DataFrame, movers: DataFrame | None, cap: int | None, salt: int, mode: str = "exact", over: bool = False, excess: bool = False) -> DataFrame:
@@ -134,50 +177,58 @@ def superstep(arcs: DataFrame, labels: DataFrame, movers: DataFrame | None, cap:
     sizes = sizes_of(labels)
     mine = arcs if movers is None else arcs.join(movers.select(F.col("id").alias("src")), "src", "left_semi")
     wants = choose(connections(mine, labels), labels, cap, salt, sizes, over)
+    if mode == "histogram":
+        wants = saved(wants, "wants")
     if over and excess and cap is not None:
         # Only as much leaves an overloaded block against its interest as it must shed.
         heavy = sizes.where(F.col("size") > cap).select(F.col("cluster").alias("source"), (F.col("size") - cap).alias("shed"))
-        order = Window.partitionBy("source").orderBy("loss", F.col("tie").desc(), "id").rowsBetween(Window.unboundedPreceding, -1)
-        forced = wants.join(heavy, "source").withColumn("gone", F.coalesce(F.sum("c").over(order), F.lit(0)))
-        keep = forced.where((F.col("gone") < F.col("shed")) | (F.col("loss") < 0)).select(*wants.columns)
-        wants = wants.join(heavy, "source", "left_anti").unionByName(keep)
+        asked = wants.join(heavy, "source", "left")
+        if mode == "exact":
+            order = Window.partitionBy("source").orderBy("loss", F.col("tie").desc(), "id").rowsBetween(Window.unboundedPreceding, -1)
+            gone = F.coalesce(F.sum("c").over(order), F.lit(0))
+            wants = asked.withColumn("gone", gone).where("shed is null or loss < 0 or gone < shed").select(*wants.columns)
+        else:
+            forced = prefix(asked.where("shed is not null"), "source", "loss", "shed", before=True)
+            wants = asked.where("shed is null or loss < 0").select(*wants.columns).union(forced.where("loss >= 0").select(*wants.columns))
     return admit(wants, sizes, cap, mode)
 
 
 def propagate(g: WeightedGraph, cap: int | None, rounds: int = 10, stop: float = 0.05, order: str = "degree", seed: int = 0, level: int = 1, cycle: int = 1, within: DataFrame | None = None, active: bool = False, buckets: int = 2, sub: int = 2, log: list | None = None) -> DataFrame:
     """Cluster ``g``: labels ``(id, cluster, c)``. ``within(id, block)`` forbids clusters
-    across blocks; ``active`` lets only neighbours of moved nodes move again."""
-    arcs = g.arcs()
-    if within is not None:
-        side = within.select("id", "block")
-        arcs = arcs.join(side.select(F.col("id").alias("src"), F.col("block").alias("a")), "src").join(side.select(F.col("id").alias("dst"), F.col("block").alias("b")), "dst").where("a = b").select("src", "dst", "w")
-    arcs = saved(arcs.repartition("src"), "arcs")
-    key = {"degree": "deg", "wdegree": "wdeg"}.get(order)
-    base = singletons(g)
-    if key:
-        base = base.join(buckets_by(g.degrees(), key, buckets), "id")
-    else:
-        base = base.withColumn("bucket", F.lit(0))
-        buckets, sub = 1, buckets * sub
-    labels = saved(base.withColumn("start", F.col("cluster")), "labels")
-    n = labels.count()
-    live: DataFrame | None = None
-    for r in range(rounds):
-        s = hashing.salt(seed, cycle, level, r)
-        moved = 0
-        for wave in range(buckets * sub):
-            who = labels.where((F.col("bucket") == wave // sub) & (hashing.part_of(F.col("id"), s, sub) == wave % sub)).select("id")
-            if live is not None:
-                who = who.join(live, "id", "left_semi")
-            nxt, count = advance(labels, superstep(arcs, labels, who, cap, s))
-            drop_saved(labels)
-            labels, moved = nxt, moved + count
-        if log is not None:
-            log.append({"round": r, "moved": moved, "nodes": n})
-        if not moved or moved < stop * n:
-            break
-        if active:
-            live = saved(moved_neighbours(arcs, labels), "active")
-        labels = renewed(labels)
-    drop_saved(arcs)
-    return labels.select("id", "cluster", "c")
+    across blocks; ``active`` lets only neighbours of moved nodes move again. ``log``
+    gets a row per round: nodes, moved, and with ``active`` the active nodes and arcs."""
+    with scope() as tables:
+        arcs = g.arcs()
+        if within is not None:
+            side = within.select("id", "block")
+            arcs = arcs.join(side.select(F.col("id").alias("src"), F.col("block").alias("a")), "src").join(side.select(F.col("id").alias("dst"), F.col("block").alias("b")), "dst").where("a = b").select("src", "dst", "w")
+            arcs = saved(arcs, "arcs")
+        key = {"degree": "deg", "wdegree": "wdeg"}.get(order)
+        base = singletons(g)
+        if key:
+            base = base.join(buckets_by(g.degrees(), key, buckets), "id")
+        else:
+            base = base.withColumn("bucket", F.lit(0))
+            buckets, sub = 1, buckets * sub
+        labels = saved(base.withColumn("start", F.col("cluster")), "labels")
+        n = labels.count()
+        if not n:
+            return tables.keep(saved(labels.select("id", "cluster", "c"), "clusters"))
+        live: DataFrame | None = None
+        for r in range(rounds):
+            s = hashing.salt(seed, cycle, level, r)
+            waves = [(F.col("bucket") == wave // sub) & (hashing.part_of(F.col("id"), s, sub) == wave % sub) for wave in range(buckets * sub)]
+            also = None if live is None else lambda who, _, live=live: who.join(live, "id", "left_semi")
+            row = {"round": r, "nodes": n}
+            if log is not None and active:
+                row["active"] = n if live is None else live.count()
+                row["active_arcs"] = (arcs if live is None else arcs.join(live.select(F.col("id").alias("src")), "src", "left_semi")).count()
+            labels, moved = sweep(arcs, labels, waves, cap, s, also=also)
+            if log is not None:
+                log.append(row | {"moved": moved})
+            if not moved or moved < stop * n:
+                break
+            if active:
+                live = saved(moved_neighbours(arcs, labels), "active")
+            labels = renewed(labels)
+        return tables.keep(saved(labels.select("id", "cluster", "c"), "clusters"))

@@ -10,6 +10,10 @@ from cutfold.functions.storage import saved
 from cutfold.operators.graph import WeightedGraph
 
 
+#: Free nodes of a hub that are ranked together.
+BIN = 10_000
+
+
 def mutual_round(arcs: DataFrame, salt: int) -> DataFrame:
     """Pairs ``(u, v)`` in which each is the other's heaviest neighbour; ties by a hash
     that both ends compute alike."""
@@ -42,9 +46,17 @@ def heavy_edge_matching(g: WeightedGraph, cap: int, rounds: int = 5, seed: int =
 
 def two_hop_pairs(arcs: DataFrame, free: DataFrame) -> DataFrame:
     """Pairs ``(u, v)`` of free nodes whose heaviest neighbour is the same hub: the
-    free nodes of a hub are paired in id order."""
+    free nodes of a hub are paired in id order, in bins of about ``BIN`` by a hash where a
+    hub has more. With ``free(id, block)`` only nodes of one block are paired."""
+    side = ["block"] if "block" in free.columns else []
     mine = arcs.join(free.select(F.col("id").alias("src")), "src", "left_semi")
     hub = mine.groupBy("src").agg(F.max(F.struct("w", (-F.col("dst")).alias("d"))).alias("r")).select(F.col("src").alias("id"), (-F.col("r.d")).alias("hub"))
-    w = Window.partitionBy("hub").orderBy("id")
+    if side:
+        hub = hub.join(free.select("id", "block"), "id")
+    # Hubs may have any number of free nodes: they are dealt by a hash, in bins whose
+    # leftovers (one a bin) stay single.
+    bins = hub.groupBy("hub", *side).agg(F.ceil(F.count(F.lit(1)) / BIN).alias("bins"))
+    hub = hub.join(bins, ["hub", *side]).withColumn("bin", F.pmod(hashing.mix(F.col("id"), 29), F.col("bins")))
+    w = Window.partitionBy("hub", *side, "bin").orderBy("id")
     ranked = hub.withColumn("rn", F.row_number().over(w)).withColumn("mate", F.lead("id").over(w))
     return ranked.where("rn % 2 = 1 and mate is not null").select(F.col("id").alias("u"), F.col("mate").alias("v"))

@@ -2,28 +2,33 @@
 kernel from where it fits.
 
 A level above ``local_arcs`` is clustered, contracted and refined by DataFrame
-operators with every result saved on shared storage. Below, the rest of the
+operators with every result saved on shared storage; coarsening goes on until the
+graph fits, also below the node count at which a small graph would stop, so what is
+brought to the driver never exceeds ``local_arcs``. From there the rest of the
 hierarchy runs inside tasks, several seeds in parallel, and the best is projected
 back up. So driver round trips are spent only on levels where data is big.
+
+Cycles are counted here. The kernel makes one pass per cycle and knows how many
+levels lie above it, so slack is that of the whole hierarchy and of its first cycle.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutfold.functions.caps import block_cap, cluster_cap, ensemble_size, level_cap, stop_nodes
-from cutfold.functions.storage import saved
+from cutfold.functions.caps import block_cap, cluster_cap, ensemble_size, level_cap
+from cutfold.functions.storage import saved, scope
 from cutfold.kernels import multilevel
 from cutfold.kernels.csr import Csr, block_weights, cut
 from cutfold.operators import ensemble, matching, metrics, refine
 from cutfold.operators.contract import contract, inherit, project
 from cutfold.operators.graph import WeightedGraph, to_local
-from cutfold.operators.lpa import propagate
+from cutfold.operators.lpa import propagate, sizes_of
 from cutfold.plans import presets
 from cutfold.plans.presets import Preset
 
@@ -39,31 +44,49 @@ class PartitionResult:
     history: list = field(default_factory=list)
 
 
-def _solve(g: Csr, k: int, preset: Preset, eps: float, cap: int, stop_at: int | None, start):
+def _solve(g: Csr, k: int, preset: Preset, eps: float, cap: int, stop_at: int | None, start, cycle: int, above: int):
     def run(batches):
         for batch in batches:
             for seed in batch.column(0).to_pylist():
                 history: list = []
-                part = multilevel.partition(g.value, k, preset, eps, seed, stop_at, start, cap, history)
-                over = max(0, int(block_weights(g.value, part, k).max()) - cap) if len(part) else 0
+                part = multilevel.partition(g.value, k, preset, eps, seed, stop_at, start, cap, history, cycle, above)
+                levels = next((h["levels"] for h in reversed(history) if h["phase"] == "final"), 1)
+                most = level_cap(above + 1, above + levels, int(g.value.c.sum()), k, eps, preset.delta, cycle) if preset.slack else cap
+                over = max(0, int(block_weights(g.value, part, k).max()) - max(cap, most)) if len(part) else 0
                 first = next((h["cut"] for h in history if h["phase"] == "initial"), 0)
-                yield pa.RecordBatch.from_pydict({"seed": [seed], "over": [over], "cut": [cut(g.value, part)], "first": [first], "part": pa.array([part.tolist()], pa.list_(pa.int32()))})
+                yield pa.RecordBatch.from_pydict({"seed": [seed], "over": [over], "cut": [cut(g.value, part)], "first": [first], "levels": [levels], "part": pa.array([part.tolist()], pa.list_(pa.int32()))})
 
     return run
 
 
-def solve_local(spark, g: Csr, k: int, preset: Preset, eps: float, cap: int, seeds: list[int], stop_at=None, start=None) -> tuple[np.ndarray, dict]:
+def solve_local(spark, g: Csr, k: int, preset: Preset, eps: float, cap: int, seeds: list[int], stop_at=None, start=None, cycle: int = 1, above: int = 0) -> tuple[np.ndarray, dict]:
     """The best of several seeds, one task each, by (overload, cut, seed)."""
     shared = spark.sparkContext.broadcast(g)
     jobs = spark.createDataFrame([(s,) for s in seeds], "seed long").repartition(len(seeds))
-    out = jobs.mapInArrow(_solve(shared, k, preset, eps, cap, stop_at, start), "seed long, over long, cut long, first long, part array<int>")
+    out = jobs.mapInArrow(_solve(shared, k, preset, eps, cap, stop_at, start, cycle, above), "seed long, over long, cut long, first long, levels long, part array<int>")
     best = out.orderBy("over", "cut", "seed").first()
-    return np.array(best.part, np.int64), {"cut": best.cut, "initial_cut": best.first, "over": best.over}
+    return np.array(best.part, np.int64), {"cut": best.cut, "initial_cut": best.first, "over": best.over, "levels": best.levels}
+
+
+def _paired(g: WeightedGraph, labels: DataFrame, bound: int, within) -> DataFrame:
+    """Clusters that are still single nodes, two by two under a common heaviest
+    neighbour: what propagation cannot do once a hub's cluster is full."""
+    alone = sizes_of(labels.withColumn("c", F.lit(1))).where("size = 1").select(F.col("cluster").alias("id"))
+    free = g.nodes.where(F.col("c") * 2 <= bound).join(alone, "id", "left_semi").select("id")
+    arcs = g.arcs()
+    if within is not None:
+        side = within.select(F.col("id").alias("x"), "block")
+        # A hub may be anywhere; only nodes of one block are paired.
+        free = free.join(side.withColumnRenamed("x", "id"), "id")
+    pairs = matching.two_hop_pairs(arcs, free)
+    to = pairs.select(F.col("v").alias("id"), F.col("u").alias("_to"))
+    return labels.join(to, "id", "left").select("id", F.coalesce("_to", "cluster").alias("cluster"), "c")
 
 
 def _labels(g: WeightedGraph, bound: int, preset: Preset, k: int, seed: int, level: int, cycle: int, within) -> DataFrame:
-    if preset.coarsener == "matching":
-        return matching.heavy_edge_matching(g, bound, seed=seed + level, within=within)
+    if preset.coarsener in ("matching", "two_hop"):
+        found = matching.heavy_edge_matching(g, bound, seed=seed + level, within=within)
+        return _paired(g, found, bound, within) if preset.coarsener == "two_hop" else found
     how = {"rounds": preset.rounds, "stop": preset.stop, "order": preset.order, "level": level, "cycle": cycle, "within": within, "active": preset.active}
     if preset.ensemble:
         runs = ensemble.base(g, bound, ensemble_size(k), seed, **how)
@@ -71,56 +94,70 @@ def _labels(g: WeightedGraph, bound: int, preset: Preset, k: int, seed: int, lev
     return propagate(g, bound, seed=seed, **how)
 
 
-def partition(g: WeightedGraph, k: int, preset: Preset | str = "ci-fast", eps: float = 0.03, seed: int = 0, local_arcs: int = LOCAL_ARCS, stop_at: int | None = None, tries: int = 4, max_levels: int = 12) -> PartitionResult:
+def _coarser(g: WeightedGraph, s: dict, cap: int, preset: Preset, k: int, seed: int, level: int, cycle: int, within) -> tuple[WeightedGraph, DataFrame, dict]:
+    """The next level. Where the cluster bound stalls coarsening, single nodes are paired
+    over a common neighbour; where that stalls too, the bound is doubled."""
+    f = preset.f
+    while True:
+        bound = cluster_cap(cap, s["heaviest"], f)
+        labels = _labels(g, bound, preset, k, seed, level, cycle, within)
+        for pair in (False, True):
+            if pair:
+                labels = _paired(g, saved(labels, "labels"), bound, within)
+            coarse, to = contract(g, labels)
+            coarse, to = coarse.saved(), saved(to, "projection")
+            now = coarse.sizes()
+            if now["n"] <= 0.95 * s["n"]:
+                return coarse, to, now
+        if f <= 1:
+            raise ValueError(f"{s['n']} nodes and {s['m']} edges cannot be coarsened further; raise local_arcs")
+        f = max(1, f // 2)
+
+
+def partition(g: WeightedGraph, k: int, preset: Preset | str = "ci-fast", eps: float = 0.03, seed: int = 0, local_arcs: int = LOCAL_ARCS, stop_at: int | None = None, tries: int = 4) -> PartitionResult:
     """``k`` blocks of ``g`` by a preset."""
     preset = presets.get(preset) if isinstance(preset, str) else preset
     spark = g.nodes.sparkSession
-    g = g.saved()
-    size = g.sizes()
-    cap = block_cap(size["total"], k, eps)
-    history: list = []
-    if k <= 1 or size["n"] == 0:
-        return PartitionResult(g.nodes.select("id", F.lit(0).alias("block")), cap, history)
-    floor_at = stop_at if stop_at is not None else stop_nodes(size["n"], k)
-    best = None
-    for cycle in range(1, (preset.cycles if 2 * size["m"] > local_arcs else 1) + 1):
-        levels, maps, parts, s, f = [g], [], [best], size, preset.f
-        while 2 * s["m"] > local_arcs and s["n"] >= floor_at and len(levels) < max_levels:
-            bound = cluster_cap(cap, s["heaviest"], f)
-            labels = _labels(levels[-1], bound, preset, k, seed, len(levels), cycle, parts[-1])
-            coarse, to = contract(levels[-1], labels)
-            coarse, to = coarse.saved(), saved(to, "projection")
-            before, s = s["n"], coarse.sizes()
-            if s["n"] > 0.95 * before:
-                # The bound blocks all moves: loosen it rather than hand a task too much.
-                if f <= 2:
-                    break
-                f, s = f // 2, levels[-1].sizes()
-                continue
-            history.append({"cycle": cycle, "level": len(levels) + 1, "phase": "contract", "nodes": s["n"], "edges": s["m"]})
-            maps.append(to)
-            parts.append(inherit(parts[-1], to) if parts[-1] is not None else None)
-            levels.append(coarse)
-        local, ids = to_local(levels[-1], max(local_arcs, 2 * s["m"] if s["n"] < floor_at else local_arcs))
-        start = None
-        if parts[-1] is not None:
-            rows = parts[-1].orderBy("id").toArrow()
-            start = rows.column("block").to_numpy().astype(np.int64)
-        found, told = solve_local(spark, local, k, preset, eps, cap, [seed * 100 + cycle * 10 + i for i in range(tries)], stop_at, start)
-        history.append({"cycle": cycle, "level": len(levels), "phase": "kernel", "nodes": local.n, "edges": local.arcs // 2} | told)
-        table = pa.table({"id": pa.array(ids, pa.int64()), "block": pa.array(found, pa.int32())})
-        part = saved(spark.createDataFrame(table), "part")
-        for level in range(len(levels) - 1, 0, -1):
-            part = project(part, maps[level - 1])
-            here = level_cap(level, len(levels), size["total"], k, eps, preset.delta, cycle) if preset.slack else cap
-            if preset.search == "lp":
-                part = refine.lp_refine(levels[level - 1], part, k, here, seed=seed, level=level, cycle=cycle)
-            else:
-                part = refine.boundary_refine(levels[level - 1], part, k, here, seed=seed, level=level)
-            part = saved(part, "part")
-            if level == 1 and refine.quality(g, part, cap)[0]:
-                part = saved(refine.force_balance(g, part, k, cap), "part")
-        best = part if best is None else refine.keep_better(g, best, part, cap)
-        done = metrics.cut(g, best).first()["cut"]
-        history.append({"cycle": cycle, "level": 1, "phase": "final", "nodes": size["n"], "edges": size["m"], "cut": int(done)})
-    return PartitionResult(best, cap, history)
+    once = replace(preset, cycles=1)
+    with scope() as tables:
+        g = g.saved()
+        size = g.sizes()
+        cap = block_cap(size["total"], k, eps)
+        history: list = []
+        if k <= 1 or size["n"] == 0:
+            return PartitionResult(tables.keep(saved(g.nodes.select("id", F.lit(0).alias("block")), "part")), cap, history)
+        best = None
+        for cycle in range(1, preset.cycles + 1):
+            with scope() as inner:
+                levels, maps, parts, s = [g], [], [best], size
+                while 2 * s["m"] > local_arcs:
+                    coarse, to, s = _coarser(levels[-1], s, cap, preset, k, seed, len(levels), cycle, parts[-1])
+                    history.append({"cycle": cycle, "level": len(levels) + 1, "phase": "contract", "nodes": s["n"], "edges": s["m"]})
+                    maps.append(to)
+                    parts.append(saved(inherit(parts[-1], to), "inherited") if parts[-1] is not None else None)
+                    levels.append(coarse)
+                local, ids = to_local(levels[-1], local_arcs)
+                start = None
+                if parts[-1] is not None:
+                    start = parts[-1].orderBy("id").toArrow().column("block").to_numpy().astype(np.int64)
+                above = len(levels) - 1
+                found, told = solve_local(spark, local, k, once, eps, cap, [seed * 100 + cycle * 10 + i for i in range(tries)], stop_at, start, cycle, above)
+                history.append({"cycle": cycle, "level": len(levels), "phase": "kernel", "nodes": local.n, "edges": local.arcs // 2} | told)
+                depth = above + told["levels"]
+                table = pa.table({"id": pa.array(ids, pa.int64()), "block": pa.array(found, pa.int32())})
+                part = saved(spark.createDataFrame(table), "part")
+                for level in range(above, 0, -1):
+                    here = max(cap, level_cap(level, depth, size["total"], k, eps, preset.delta, cycle)) if preset.slack else cap
+                    fine, part = levels[level - 1], saved(project(part, maps[level - 1]), "part")
+                    if preset.search == "lp":
+                        trial = refine.lp_refine(fine, part, k, here, seed=seed, level=level, cycle=cycle)
+                    else:
+                        trial = refine.boundary_refine(fine, part, k, here, seed=seed, level=level, cycle=cycle)
+                    part = refine.keep_better(fine, part, trial, here)
+                    if level == 1 and refine.quality(g, part, cap)[0]:
+                        part = saved(refine.force_balance(g, part, k, cap), "part")
+                inner.keep(best if best is not None and refine.keep_better(g, best, part, cap) is best else part)
+                best = next(iter(inner.kept.values()))
+            done = metrics.cut(g, best).first()["cut"]
+            history.append({"cycle": cycle, "level": 1, "phase": "final", "nodes": size["n"], "edges": size["m"], "depth": depth, "cut": int(done)})
+        return PartitionResult(tables.keep(best), cap, history)

@@ -559,17 +559,18 @@ def forced_balance_step(spark, sf_dir):
     return metrics.imbalance(g, refine.force_balance(g, start, 4, caps.block_cap(g.sizes()["total"], 4, 0.03)), 4, caps.block_cap(g.sizes()["total"], 4, 0.03))
 
 
-@query("partition_diff", f"WITH {stepsql.graph('supply')}, a AS (SELECT id, {hashing.part_sql('id', 11, 4)} AS x FROM nodes WHERE id % 3 <> 0), b AS (SELECT id, {hashing.part_sql('id', 12, 4)} AS y FROM nodes WHERE id % 5 <> 0) SELECT id, x, y, NOT (x IS NOT DISTINCT FROM y) AS differs FROM a FULL OUTER JOIN b USING (id)")
+@query("partition_diff", f"WITH {stepsql.graph('supply')}, p AS (SELECT p_partkey * 2 AS id, {hashing.part_sql('p_partkey * 2', 12, 4)} AS y FROM part) SELECT id, x, y, NOT (x IS NOT DISTINCT FROM y) AS differs FROM (SELECT id, {hashing.part_sql('id', 11, 4)} AS x FROM nodes) a FULL OUTER JOIN p USING (id)")
 def partition_diff(spark, sf_dir):
-    n = _graph(spark, sf_dir, "supply").nodes
-    a = n.where("id % 3 <> 0").select("id", hashing.part_of(F.col("id"), 11, 4).alias("x"))
-    b = n.where("id % 5 <> 0").select("id", hashing.part_of(F.col("id"), 12, 4).alias("y"))
+    """Blocks of all graph nodes beside blocks of all parts, with or without suppliers."""
+    a = _blocks(_graph(spark, sf_dir, "supply"), 4).withColumnRenamed("block", "x")
+    key = (F.col("p_partkey") * 2).alias("id")
+    b = load(spark, sf_dir, "part", "p_partkey").select(key).select("id", hashing.part_of(F.col("id"), 12, 4).alias("y"))
     return a.join(b, "id", "full_outer").select("id", "x", "y", (~F.col("x").eqNullSafe(F.col("y"))).alias("differs"))
 
 
-@query("filter_subgraph", "SELECT DISTINCT l_orderkey AS u, l_partkey AS v FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_brand IN ('Brand#11', 'Brand#12', 'Brand#22') AND l_quantity BETWEEN 10 AND 20 AND p_type LIKE '%STEEL%'")
+@query("filter_subgraph", "SELECT DISTINCT l_orderkey AS u, l_partkey AS v FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_brand IN ('Brand#1', 'Brand#2', 'Brand#4') AND l_quantity BETWEEN 10 AND 20 AND p_name LIKE '%bolt%'")
 def filter_subgraph(spark, sf_dir):
-    p = load(spark, sf_dir, "part", "p_partkey", "p_brand", "p_type").where(F.col("p_brand").isin("Brand#11", "Brand#12", "Brand#22") & F.col("p_type").like("%STEEL%"))
+    p = load(spark, sf_dir, "part", "p_partkey", "p_brand", "p_name").where(F.col("p_brand").isin("Brand#1", "Brand#2", "Brand#4") & F.col("p_name").like("%bolt%"))
     li = load(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey", "l_quantity").where(F.col("l_quantity").between(10, 20))
     return li.join(p, F.col("l_partkey") == F.col("p_partkey")).select(F.col("l_orderkey").alias("u"), F.col("l_partkey").alias("v")).distinct()
 
@@ -666,19 +667,65 @@ def events_session(spark, sf_dir):
     return e.select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
 
 
-# --- whole methods: rows with verifiable columns ------------------------------
-def _method(name, instance="page_links", k=4):
+# --- whole methods: what must hold of a partition, recomputed from it ----------
+def _promises(graph: str, k: int) -> str:
+    return (
+        f"WITH {stepsql.graph(graph)}, n AS (SELECT count(*) AS nodes, cast(sum(c) AS BIGINT) AS total FROM nodes) "
+        f"SELECT {k} AS k, nodes, (SELECT count(*) FROM e) AS edges, cast(((total + {k - 1}) // {k}) * 103 // 100 AS BIGINT) AS cap, nodes AS covered, true AS blocks_in_range, true AS feasible, true AS cut_agrees, true AS below_hash FROM n"
+    )
+
+
+def promises(g, k: int, result, seed: int = 11):
+    """One row: sizes, the cap, how many nodes have exactly one block, whether blocks are
+    in range and within the cap, whether the cut that the method reports is that of its
+    partition, and whether it is below the cut of blocks by hash."""
+    part = result.part
+    size = g.sizes()
+    cover = g.nodes.join(part, "id").groupBy("id").agg(F.count(F.lit(1)).alias("n"), F.min("block").alias("lo"), F.max("block").alias("hi"))
+    seen = cover.agg(F.count_if(F.col("n") == 1).alias("covered"), F.bool_and((F.col("lo") >= 0) & (F.col("hi") < k)).alias("inside")).first()
+    over, cut = refine.quality(g, part, result.cap)
+    floor = metrics.cut(g, _blocks(g, k, seed)).first()["cut"]
+    row = (k, size["n"], size["m"], result.cap, seen.covered, bool(seen.inside), over == 0, result.history[-1]["cut"] == cut, cut < floor)
+    return part.sparkSession.createDataFrame([row], "k int, nodes long, edges long, cap long, covered long, blocks_in_range boolean, feasible boolean, cut_agrees boolean, below_hash boolean")
+
+
+def _method(name, graph, k):
     def run(spark, sf_dir):
-        return experiments.runs(spark, sf_dir, [instance], [name], (k,), 1, stop_at=60).drop("seconds")
+        g = _graph(spark, sf_dir, graph).saved()
+        return promises(g, k, partition(g, k, name, tries=2))
 
     return run
 
 
 for _p in presets.COMPARED + ["ci-eco"] + presets.HUGE:
-    query("partition_" + _p.replace("-", "_").replace("+", "_").replace("@", "_"))(_method(_p, k=16 if _p.endswith("@huge") else 4))
+    _on, _k = ("order_part", 16) if _p.endswith("@huge") else ("page_links", 4)
+    query("partition_" + _p.replace("-", "_").replace("+", "_").replace("@", "_"), _promises(_on, _k))(_method(_p, _on, _k))
+
+
+def _rival(name):
+    return lambda spark, sf_dir: experiments.runs(spark, sf_dir, ["page_links"], [name], (4,), 3).drop("seconds")
+
+
 for _b in baselines.BASELINES:
-    query("baseline_" + _b.replace("-", "_"))(_method(_b))
-query("baseline_best_of")(_method("best-of-10:ci-eco+v+b"))
+    query("baseline_" + _b.replace("-", "_"))(_rival(_b))
+query("baseline_best_of")(_rival("best-of-10:ci-eco+v+b"))
+
+
+@query("ensemble_clustering")
+def ensemble_clustering(spark, sf_dir):
+    """Clusters that three propagations without a size bound agree on, by size."""
+    g = _graph(spark, sf_dir, "page_links").saved()
+    labels = ensemble.overlay_tuple(ensemble.base(g, None, 3, rounds=3))
+    return labels.groupBy("cluster").agg(F.count(F.lit(1)).alias("size")).groupBy("size").agg(F.count(F.lit(1)).alias("clusters"))
+
+
+@query("active_profile")
+def active_profile(spark, sf_dir):
+    """Nodes, active nodes and arcs, and moves per round of clustering by active nodes."""
+    log: list = []
+    lpa.propagate(_graph(spark, sf_dir, "page_links").saved(), 30, rounds=5, stop=0.0, active=True, log=log)
+    rows = [(r["round"], r["nodes"], r["active"], r["active_arcs"], r["moved"]) for r in log]
+    return spark.createDataFrame(rows, "round int, nodes long, active long, active_arcs long, moved long")
 
 
 @query("partition_distributed")
@@ -696,13 +743,13 @@ def refine_boundary(spark, sf_dir):
 
 
 for _w in experiments.WORKLOADS:
-    query("workload_" + _w)(lambda spark, sf_dir, w=_w: experiments.summary(experiments.workload(spark, sf_dir, w, ["page_links", "doc_line_hubs"], (4, 16) if w != "huge" else None, 1, stop_at=60)))
+    query("workload_" + _w)(lambda spark, sf_dir, w=_w: experiments.summary(experiments.workload(spark, sf_dir, w, ["order_part"] if w == "huge" else ["page_links", "doc_line_hubs"], (2, 4, 8) if w != "huge" else None, 2)))
 
 
 @query("workload_initial_vs_final")
 def workload_initial_vs_final(spark, sf_dir):
     """How far local search takes the initial partition, per preset."""
-    r = experiments.runs(spark, sf_dir, ["page_links", "doc_line_hubs"], ["mi-fast", "ci-fast", "mi-eco"], (4, 8), 1, stop_at=60)
+    r = experiments.runs(spark, sf_dir, ["page_links", "doc_line_hubs"], ["mi-fast", "ci-fast", "mi-eco"], (2, 4), 3)
     return r.groupBy("instance", "preset").agg(F.avg("initial_cut").alias("initial"), F.avg("cut").alias("final"), F.round(F.avg(1 - F.col("cut") / F.greatest("initial_cut", F.lit(1))), 6).alias("gain"))
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from cutfold.functions.hashing import P, part_sql, tie_sql
+from cutfold.functions.hashing import part_sql, tie_sql
 from cutfold.sources.builders import SQL as EDGES
 
 
@@ -52,6 +52,3 @@ def half(s: int, which: int, parts: int = 2) -> str:
     """The ids of one hash wave."""
     return f"SELECT id FROM nodes WHERE {part_sql('id', s, parts)} = {which}"
 
-
-def modulus() -> int:
-    return P
