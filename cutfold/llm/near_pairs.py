@@ -55,12 +55,12 @@ def _similar(words: int, least: float):
 
     def fn(batch):
         keep = []
-        for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
+        for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
             x, y = (np.unique(shingle_hashes(t or "", words)) for t in (a, b))
             both = len(np.intersect1d(x, y, assume_unique=True))
             keep.append(both >= least * (len(x) + len(y) - both) - 1e-9)
         kept = batch.filter(pa.array(keep, pa.bool_()))
-        return pa.RecordBatch.from_arrays(kept.columns[:2], ["u", "v"])
+        return pa.RecordBatch.from_arrays(kept.columns[2:], kept.schema.names[2:])
 
     return fn
 
@@ -68,8 +68,8 @@ def _similar(words: int, least: float):
 def _verified(pairs: DataFrame, texts: DataFrame, words: int, least: float) -> DataFrame:
     a = texts.select(F.col("rid").alias("u"), F.col("text").alias("tu"))
     b = texts.select(F.col("rid").alias("v"), F.col("text").alias("tv"))
-    both = pairs.join(a, "u").join(b, "v").select("u", "v", "tu", "tv")
-    return saved(map_arrow(both, _similar(words, least), "u long, v long"), "near-links")
+    both = pairs.join(a, "u").join(b, "v").select("tu", "tv", *pairs.columns)
+    return saved(map_arrow(both, _similar(words, least), pairs.schema), "near-links")
 
 
 def _fits(least: float):
@@ -105,8 +105,8 @@ def _peeled(left: DataFrame, texts: DataFrame, words: int, least: float, times:
     return left.join(kept, "id")
 
 
-def _ordered(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+def _ordered(pairs: DataFrame, *more: str) -> DataFrame:
+    return pairs.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"), *more).distinct()
 
 
 def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame, rounds: int = 4) -> DataFrame:
@@ -128,11 +128,15 @@ def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more:
         draw = F.min(F.struct("rank", F.xxhash64(F.lit(r), "band", "id").alias("h"), F.col("id").alias("v"), F.col("n").alias("m"), F.col("c").alias("cv"))).alias("x")
         drawn = saved(ranked.groupBy(place).agg(draw).select(*place, "x.v", "x.m", "x.cv"), "near-drawn")
         met = left.join(drawn, place).where((F.col("c") != F.col("cv")) & _fits(least))
-        tried = saved(_ordered(met.select(F.col("id").alias("u"), "v")), "near-tried")
-        found = found.union(_verified(tried, texts, words, least))
-        comps = saved(star_components(found), "near-components")
+        labels = F.greatest("c", "cv").alias("cu"), F.least("c", "cv").alias("cv")
+        tried = saved(_ordered(met.select(F.col("id").alias("u"), "v", *labels), "cu", "cv"), "near-tried")
+        new = _verified(tried, texts, words, least)
+        found = found.union(new.select("u", "v"))
+        # Components so far are the ends of the new links; at first every text is its own.
+        joined = new.select(F.col("cu").alias("u"), F.col("cv").alias("v")) if r else found
+        comps = saved(star_components(joined).withColumnRenamed("id", "c"), "near-components")
         rest = left.join(drawn.select(*place, F.col("v").alias("id")), [*place, "id"], "left_anti")
-        named = rest.drop("c").join(comps, "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
+        named = rest.join(comps, "c", "left").withColumn("c", F.coalesce("component", "c")).drop("component")
         named = saved(named, "near-named")
         mixed = saved(named.groupBy(place).agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select(*place), "near-mixed")
         nxt = saved(named.join(mixed, place), "near-open")
