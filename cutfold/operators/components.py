@@ -36,12 +36,28 @@ def _is_stars(edges: DataFrame) -> bool:
     return seen.where((F.col("up") > 1) | ((F.col("up") > 0) & (F.col("down") > 0))).isEmpty()
 
 
+def _down(edges: DataFrame) -> DataFrame:
+    cur = edges.where("u is not null and v is not null and u <> v")
+    return saved(cur.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "cc")
+
+
+def star_labels(edges: DataFrame, rounds: int = 1) -> DataFrame:
+    """``(id, component)`` as :func:`star_components`, but stopped after ``rounds``: equal
+    labels are connected, while one component may still carry several."""
+    cur = _down(edges)
+    for _ in range(rounds):
+        nxt = saved(_small_star(_large_star(cur)), "cc")
+        drop_saved(cur)
+        cur = nxt
+    both = cur.select(F.col("u").alias("id"), "v").union(cur.select(F.col("v").alias("id"), "v"))
+    return both.groupBy("id").agg(F.min("v").alias("component"))
+
+
 def star_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """``edges(u, v)`` with BIGINT ends -> ``(id, component)`` for every id that
     has an edge; the component is its smallest id. Self-loops, repeated and
     reversed edges are allowed; NULL ends are ignored; no edges give no rows."""
-    cur = edges.where("u is not null and v is not null and u <> v")
-    cur = saved(cur.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "cc")
+    cur = _down(edges)
     for _ in range(max_rounds):
         if _is_stars(cur):
             break
