@@ -10,7 +10,8 @@ Texts with equal shingle sets form one class. A bucket of a band is worked off i
 rounds: all its members meet one of them, unless they are linked to it already or too
 different in size; then that one is done there. The first is drawn anew per band, later
 ones are those with the most links so far, which a family of near copies has gathered
-around. So a round costs no more pairs than buckets have members. What is still in
+around. So a round costs no more pairs than buckets have members. Labels of connected texts
+are brought up to date after each round, to the end after the last. What is still in
 different components after ``rounds`` rounds is peeled: a text needs ``least`` of its
 shingles in other open texts, and a pair as many such shingles on either side as its
 similarity asks for. Only pairs that this bound leaves meet in full, and no bucket is
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 
 from cutfold.functions.storage import drop_saved, saved
 from cutfold.llm._common import map_arrow
-from cutfold.operators.components import star_components
+from cutfold.operators.components import star_components, star_labels
 
 BANDS, PER_BAND = 32, 4
 _DRAWS = np.random.default_rng(42).integers(0, 2**64, (2, BANDS * PER_BAND, 1), np.uint64)
@@ -54,9 +55,12 @@ def _similar(words: int, least: float):
     from cutfold.llm.simhash_dedup import shingle_hashes
 
     def fn(batch):
-        keep = []
-        for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-            x, y = (np.unique(shingle_hashes(t or "", words)) for t in (a, b))
+        keep, sets = [], {}  # a text that meets many is hashed once a batch
+        for pair in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            for t in pair:
+                if t not in sets:
+                    sets[t] = np.unique(shingle_hashes(t or "", words))
+            x, y = (sets[t] for t in pair)
             both = len(np.intersect1d(x, y, assume_unique=True))
             keep.append(both >= least * (len(x) + len(y) - both) - 1e-9)
         kept = batch.filter(pa.array(keep, pa.bool_()))
@@ -109,41 +113,43 @@ def _ordered(pairs: DataFrame, *more: str) -> DataFrame:
     return pairs.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"), *more).distinct()
 
 
-def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame, rounds: int = 4) -> DataFrame:
+def _mixed(left: DataFrame, place: list[str], *aggs) -> DataFrame:
+    """The buckets whose members are not all connected yet."""
+    return left.groupBy(place).agg(F.min("c").alias("a"), F.max("c").alias("b"), *aggs).where("a < b")
+
+
+def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame, rounds: int = 2) -> DataFrame:
     """Verified pairs ``(u, v)`` that connect what the candidates connect, from
     ``classes(rid, n, keys)``, n the number of shingles, and ``texts(rid, text)``;
     ``more(u, v)`` are candidates too."""
     place = ["band", "key"]
     entries = saved(classes.select(F.col("rid").alias("id"), "n", F.posexplode("keys").alias("band", "key")), "near-entries")
     shared = saved(entries.groupBy(place).agg(F.count(F.lit(1)).alias("k")).where("k > 1").select(*place), "near-buckets")
-    left = saved(entries.join(shared, place).withColumn("c", F.col("id")), "near-open")
+    left = entries.join(shared, place).withColumn("c", F.col("id")).withColumn("deg", F.lit(0).cast("long"))
+    left = saved(left, "near-open")
     drop_saved(entries, shared)
     found = _verified(saved(_ordered(more), "near-more"), texts, words, least)
     for r in range(rounds):
-        if r:
-            degree = found.select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("deg"))
-            ranked = left.join(degree, "id", "left").withColumn("rank", -F.coalesce("deg", F.lit(0)))
-        else:
-            ranked = left.withColumn("rank", F.lit(0))
-        draw = F.min(F.struct("rank", F.xxhash64(F.lit(r), "band", "id").alias("h"), F.col("id").alias("v"), F.col("n").alias("m"), F.col("c").alias("cv"))).alias("x")
-        drawn = saved(ranked.groupBy(place).agg(draw).select(*place, "x.v", "x.m", "x.cv"), "near-drawn")
-        met = left.join(drawn, place).where((F.col("c") != F.col("cv")) & _fits(least))
-        labels = F.greatest("c", "cv").alias("cu"), F.least("c", "cv").alias("cv")
-        tried = saved(_ordered(met.select(F.col("id").alias("u"), "v", *labels), "cu", "cv"), "near-tried")
-        new = _verified(tried, texts, words, least)
-        found = found.union(new.select("u", "v"))
-        # Components so far are the ends of the new links; at first every text is its own.
-        joined = new.select(F.col("cu").alias("u"), F.col("cv").alias("v")) if r else found
-        comps = saved(star_components(joined).withColumnRenamed("id", "c"), "near-components")
-        rest = left.join(drawn.select(*place, F.col("v").alias("id")), [*place, "id"], "left_anti")
-        named = rest.join(comps, "c", "left").withColumn("c", F.coalesce("component", "c")).drop("component")
-        named = saved(named, "near-named")
-        mixed = saved(named.groupBy(place).agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select(*place), "near-mixed")
-        nxt = saved(named.join(mixed, place), "near-open")
-        drop_saved(left, drawn, tried, comps, named, mixed)
-        left = nxt
-        if left.isEmpty():
+        draw = F.min(F.struct((-F.col("deg")).alias("rank"), F.xxhash64(F.lit(r), "band", "id").alias("h"), F.col("id").alias("v"), F.col("n").alias("m"), F.col("c").alias("cv"))).alias("x")
+        drawn = saved(_mixed(left, place, draw).select(*place, "x.v", "x.m", "x.cv"), "near-drawn")
+        if drawn.isEmpty():
             return found
+        rest = saved(left.join(drawn, place).where("id <> v"), "near-rest")
+        met = rest.where((F.col("c") != F.col("cv")) & _fits(least))
+        tried = saved(_ordered(met.select(F.col("id").alias("u"), "v")), "near-tried")
+        found = found.union(_verified(tried, texts, words, least))
+        # Until the last round the labels need not be final: equal ones are connected.
+        comps = star_components(found) if r + 1 == rounds else star_labels(found)
+        degree = found.select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("deg"))
+        info = saved(comps.join(degree, "id"), "near-components")
+        named = rest.select(*place, "id", "n").join(info, "id", "left")
+        nxt = saved(named.select(*place, "id", "n", F.coalesce("component", "id").alias("c"), F.coalesce("deg", F.lit(0)).alias("deg")), "near-open")
+        drop_saved(left, drawn, rest, tried, info)
+        left = nxt
+    mixed = saved(_mixed(left, place).select(*place), "near-mixed")
+    if mixed.isEmpty():
+        return found
+    left = saved(left.join(mixed, place).drop("deg"), "near-open")
     left = saved(_peeled(left, texts, words, least).join(classes.select(F.col("rid").alias("id"), "keys"), "id"), "near-open")
     heads = left.select(*place, "c").distinct()
     meet = heads.withColumnRenamed("c", "cu").join(heads.withColumnRenamed("c", "cv"), place).where("cu > cv")
