@@ -32,7 +32,7 @@ from cutfold.functions.storage import drop_saved, saved
 from cutfold.llm._common import map_arrow
 from cutfold.operators.components import star_components, star_labels
 
-BANDS, PER_BAND = 32, 4
+BANDS, PER_BAND, HELD = 32, 4, 2_000_000
 _DRAWS = np.random.default_rng(42).integers(0, 2**64, (2, BANDS * PER_BAND, 1), np.uint64)
 _XOR, _ODD, _MORE = _DRAWS[0], _DRAWS[1] | np.uint64(1), np.uint64(0x9E3779B97F4A7C15)
 
@@ -55,11 +55,14 @@ def _similar(words: int, least: float):
     from cutfold.llm.simhash_dedup import shingle_hashes
 
     def fn(batch):
-        keep, sets = [], {}  # a text that meets many is hashed once a batch
+        keep, sets, held = [], {}, 0  # a text that meets many is hashed once, while HELD allows
         for pair in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            if held > HELD:
+                sets, held = {}, 0
             for t in pair:
                 if t not in sets:
                     sets[t] = np.unique(shingle_hashes(t or "", words))
+                    held += len(sets[t])
             x, y = (sets[t] for t in pair)
             both = len(np.intersect1d(x, y, assume_unique=True))
             keep.append(both >= least * (len(x) + len(y) - both) - 1e-9)
