@@ -17,6 +17,13 @@ shingles in other open texts, and a pair as many such shingles on either side as
 similarity asks for. Only pairs that this bound leaves meet in full, and no bucket is
 cut off.
 
+Where they meet in full, two texts first compare ``parity``, ``PARITY`` bits that tell
+for each slot of shingle hashes whether an odd number of the set fell into it. A shingle
+that two sets do not share turns one bit over, so the bits that differ are never more
+than the shingles that do: a pair with too many of them is ruled out without its texts,
+and none at the similarity asked for is lost. Sets far larger than ``PARITY`` fill the
+bits by chance and pass on to the verification.
+
 Defined cases: words and case as in SimHash; NULL and word-free texts have no key.
 """
 
@@ -32,7 +39,7 @@ from cutfold.functions.storage import drop_saved, saved
 from cutfold.llm._common import map_arrow
 from cutfold.operators.components import star_components, star_labels
 
-BANDS, PER_BAND, HELD = 32, 4, 2_000_000
+BANDS, PER_BAND, HELD, PARITY = 32, 4, 2_000_000, 1024
 _DRAWS = np.random.default_rng(42).integers(0, 2**64, (2, BANDS * PER_BAND, 1), np.uint64)
 _XOR, _ODD, _MORE = _DRAWS[0], _DRAWS[1] | np.uint64(1), np.uint64(0x9E3779B97F4A7C15)
 
@@ -51,6 +58,14 @@ def band_keys(h: np.ndarray) -> list[int]:
     return [xxhash.xxh64_intdigest(raw[i * step : (i + 1) * step], i) - 2**63 for i in range(BANDS)]
 
 
+def parity(h: np.ndarray) -> list[int]:
+    """Signed words of ``PARITY`` bits: bit i is set if an odd number of the distinct
+    hashes ``h`` falls into slot i."""
+    slot = (h.astype(np.uint64) >> np.uint64(7)) % np.uint64(PARITY)
+    odd = (np.bincount(slot.astype(np.int64), minlength=PARITY) & 1).astype(np.uint8)
+    return np.packbits(odd, bitorder="little").view("<i8").tolist()
+
+
 def _similar(words: int, least: float):
     from cutfold.llm.simhash_dedup import shingle_hashes
 
@@ -84,6 +99,12 @@ def _fits(least: float):
     return (F.col("n") >= F.col("m") * least - 1e-6) & (F.col("m") >= F.col("n") * least - 1e-6)
 
 
+def _differ(a: str, b: str):
+    """Bits that differ, at most the shingles that only one of two sets has."""
+    bits = [F.bit_count(F.col(a)[i].bitwiseXOR(F.col(b)[i])) for i in range(PARITY // 64)]
+    return sum(bits[1:], bits[0])
+
+
 def _tokens(words: int):
     from cutfold.llm.simhash_dedup import shingle_hashes
 
@@ -123,7 +144,7 @@ def _mixed(left: DataFrame, place: list[str], *aggs) -> DataFrame:
 
 def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more: DataFrame, rounds: int = 2) -> DataFrame:
     """Verified pairs ``(u, v)`` that connect what the candidates connect, from
-    ``classes(rid, n, keys)``, n the number of shingles, and ``texts(rid, text)``;
+    ``classes(rid, n, keys, parity)``, n the number of shingles, and ``texts(rid, text)``;
     ``more(u, v)`` are candidates too."""
     place = ["band", "key"]
     entries = saved(classes.select(F.col("rid").alias("id"), "n", F.posexplode("keys").alias("band", "key")), "near-entries")
@@ -153,12 +174,20 @@ def links(classes: DataFrame, texts: DataFrame, words: int, least: float, more:
     if mixed.isEmpty():
         return found
     left = saved(left.join(mixed, place).drop("deg"), "near-open")
-    left = saved(_peeled(left, texts, words, least).join(classes.select(F.col("rid").alias("id"), "keys"), "id"), "near-open")
-    heads = left.select(*place, "c").distinct()
-    meet = heads.withColumnRenamed("c", "cu").join(heads.withColumnRenamed("c", "cv"), place).where("cu > cv")
-    side = lambda c, *names: left.select(*place, F.col("c").alias(c), *(F.col(x).alias(y) for x, y in zip(("id", "n", "s", "keys"), names)))
-    enough = F.least("s", "t") >= (F.col("n") + F.col("m")) * (least / (1 + least)) - 1e-6
-    # A pair meets in the first band that it shares.
+    sets = classes.select(F.col("rid").alias("id"), "keys", "parity")
+    left = saved(_peeled(left, texts, words, least).join(sets, "id"), "near-open")
+    return found.union(_verified(saved(_ordered(_met(left, least)), "near-rest"), texts, words, least))
+
+
+def _met(left: DataFrame, least: float) -> DataFrame:
+    """Pairs ``(u, v)`` of different components that share a bucket of ``left`` and that
+    no bound rules out, each in the first band that it shares. The bounds are conditions
+    of the join, so what they rule out is no row."""
+    names = ["id", "c", "n", "s", "keys", "parity"]
+    side = lambda *to: left.select("band", "key", *(F.col(x).alias(y) for x, y in zip(names, to)))
+    share = (F.col("n") + F.col("m")) / (1 + least)
+    enough = F.least("s", "t") >= share * least - 1e-6
+    near = _differ("pu", "pv") <= share * (1 - least) + 1e-6
     earlier = F.exists(F.zip_with(F.slice("ku", F.lit(1), F.col("band")), F.slice("kv", F.lit(1), F.col("band")), lambda x, y: x == y), lambda same: same)
-    rest = meet.join(side("cu", "u", "n", "s", "ku"), [*place, "cu"]).join(side("cv", "v", "m", "t", "kv"), [*place, "cv"]).where(_fits(least) & enough & ~earlier)
-    return found.union(_verified(saved(_ordered(rest), "near-rest"), texts, words, least))
+    both = side("u", "cu", "n", "s", "ku", "pu").join(side("v", "cv", "m", "t", "kv", "pv"), ["band", "key"])
+    return both.where((F.col("cu") > F.col("cv")) & _fits(least) & enough & near & ~earlier)

@@ -48,3 +48,29 @@ def test_near_stage_finds_all_near_copies(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     kept = corpus_pipeline.near_stage(spark, df, "").collect()
     assert sorted(r.text for r in kept) == sorted(rows[r][1] for r in set(root)) and len(kept) < len(rows) - 8
+
+
+def test_full_meeting_rules_out_by_parity_what_cannot_be_similar(spark):
+    import random
+
+    import numpy as np
+
+    from cutfold.llm import near_pairs
+    from cutfold.llm.simhash_dedup import shingle_hashes
+
+    rng = random.Random(5)
+    base = [f"w{rng.randrange(900)}" for _ in range(100)]
+    sets = []
+    for _ in range(60):
+        edited = list(base)
+        for at in rng.sample(range(100), 2):
+            edited[at] = f"x{rng.randrange(900)}"
+        sets.append(np.unique(shingle_hashes(" ".join(edited), 5)))
+    rows = [(0, 7, i, i, len(h), len(h), near_pairs.band_keys(h), near_pairs.parity(h)) for i, h in enumerate(sets)]
+    left = spark.createDataFrame(rows, "band int, key long, id long, c long, n long, s long, keys array<long>, parity array<long>")
+    met = {(r.u, r.v) for r in near_pairs._met(left, 0.8).select("u", "v").collect()}
+    both = {(i, j): len(np.intersect1d(sets[i], sets[j])) for i in range(60) for j in range(i)}
+    jaccard = {p: x / (len(sets[p[0]]) + len(sets[p[1]]) - x) for p, x in both.items()}
+    assert {p for p, x in jaccard.items() if x >= 0.8} <= met
+    # All 1770 pairs share the bucket and fit in size; most are near 0.65.
+    assert len(met) < 300 and min(jaccard[p] for p in met) > 0.7
